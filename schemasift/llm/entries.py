@@ -6,14 +6,27 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import mixing, sharding, urlfilter
+from . import langid, licenses, mixing, sharding, toxicity, urlfilter
 from .common import table
 
 
+def op3_hyperdimensional_language(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return langid.identify(table(spark, sf_dir, "documents"))
+
+
 def op4_url_digest_filter(spark: SparkSession, sf_dir: str) -> DataFrame:
     return urlfilter.judge(table(spark, sf_dir, "pages"))
 
 
+def op5_boosted_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents")
+    return toxicity.score(docs, toxicity.fit(docs, table(spark, sf_dir, "labels")))
+
+
+def op6_license_set_join(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return licenses.summary(licenses.scan(table(spark, sf_dir, "documents")))
+
+
 def op8_minimax_shards(spark: SparkSession, sf_dir: str) -> DataFrame:
     return sharding.shard(table(spark, sf_dir, "documents"))
 
@@ -23,8 +36,8 @@ def op10_pareto_mix(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op4_url_digest_filter, op8_minimax_shards, op10_pareto_mix)}
+    return {f.__name__: f for f in (op3_hyperdimensional_language, op4_url_digest_filter, op5_boosted_toxicity, op6_license_set_join, op8_minimax_shards, op10_pareto_mix)}
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op4_url_digest_filter": urlfilter.oracle_sql(), "op10_pareto_mix": mixing.oracle_sql()}
+    return {"op4_url_digest_filter": urlfilter.oracle_sql(), "op6_license_set_join": licenses.oracle_sql(), "op10_pareto_mix": mixing.oracle_sql()}
