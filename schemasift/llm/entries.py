@@ -5,11 +5,20 @@ from __future__ import annotations
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
-from . import langid, licenses, mixing, sharding, toxicity, urlfilter
+from . import decontamination, langid, licenses, mixing, neighbours, sharding, toxicity, urlfilter
 from .common import table
 
 
+def op1_spaced_seed_leaks(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return decontamination.find_leaks(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"))
+
+
+def op2_learned_partition_neighbours(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return neighbours.search(table(spark, sf_dir, "embeddings"), F.col("vec_id") % 50 == 0)
+
+
 def op3_hyperdimensional_language(spark: SparkSession, sf_dir: str) -> DataFrame:
     return langid.identify(table(spark, sf_dir, "documents"))
 
@@ -36,7 +45,7 @@ def op10_pareto_mix(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op3_hyperdimensional_language, op4_url_digest_filter, op5_boosted_toxicity, op6_license_set_join, op8_minimax_shards, op10_pareto_mix)}
+    return {f.__name__: f for f in (op1_spaced_seed_leaks, op2_learned_partition_neighbours, op3_hyperdimensional_language, op4_url_digest_filter, op5_boosted_toxicity, op6_license_set_join, op8_minimax_shards, op10_pareto_mix)}
 
 
 def oracle_sql() -> dict[str, str]:
