@@ -1,7 +1,58 @@
-"""The corpus pipeline: stages that each read what the one before wrote."""
-STAGES = []
+"""The corpus pipeline: language, near copies, benchmark leaks, source mix, shards; each stage reads what the one before wrote.
+
+Every stage takes (spark, docs, sf_dir) and works on all rows of docs; all but the last return the columns of docs.
+"""
+
+from __future__ import annotations
+
+from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
+
+from schemasift.llm import decontamination, langid, mixing, sharding, simhash
+from schemasift.llm.common import durable, held_out, small, table
+
+
+def _without(docs: DataFrame, gone: DataFrame) -> DataFrame:
+    """docs without the ids of a written table, which is broadcast only if it is known to be small."""
+    return docs.join(small(gone, 16), F.col("doc_id") == F.col("__gone"), "left_anti")
+
+
+def language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Documents in which no language can be told (no letter at all) go."""
+    names, protos = langid.prototypes(langid.piece_counts(docs.where(~held_out("doc_id"))))
+    said = langid.predict(docs, names, protos)
+    return _without(docs, durable(said.where("lang_pred = 'und'").select(F.col("doc_id").alias("__gone")).distinct(), "pipeline-und"))
+
+
+def near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Of each group linked by 0.8 of their five-word shingles, the document with the smallest id stays."""
+    return simhash.keep_one(docs, simhash.similar(0.8, 5))
+
+
+def leaks(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Documents that hold a benchmark passage go."""
+    found = decontamination.find_leaks(docs, table(spark, sf_dir, "benchmark"))
+    return _without(docs, durable(found.select(F.col("doc_id").alias("__gone")).distinct(), "pipeline-leaks"))
+
+
+def source_mix(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Each document as often as the mix takes it."""
+    taken = durable(mixing.mix(docs).where("copies <> 1").groupBy(F.col("doc_id").alias("__id")).agg(F.max("copies").alias("__copies")), "pipeline-mix")
+    times = docs.join(small(taken, 24), F.col("doc_id").eqNullSafe(F.col("__id")), "left").withColumn("__copies", F.coalesce("__copies", F.lit(1)))
+    return times.where("__copies > 0").withColumn("__copy", F.explode(F.sequence(F.lit(1), F.col("__copies")))).select(*docs.columns)
+
+
+def shards(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    return sharding.shard(docs)
+
+
+STAGES = [("language", language), ("near_copies", near_copies), ("leaks", leaks), ("source_mix", source_mix), ("shards", shards)]
+#: Language and near copies have no SQL form; the stages are tested against brute force.
 ORACLE_SQL = None
 
 
-def run(spark, sf_dir):
-    raise NotImplementedError
+def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents")
+    for name, stage in STAGES[:-1]:
+        docs = durable(stage(spark, docs, sf_dir), f"pipeline-{name}")
+    return STAGES[-1][1](spark, docs, sf_dir)

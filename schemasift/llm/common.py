@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import gc
 import tempfile
 import uuid
 from collections.abc import Iterator
@@ -45,6 +46,17 @@ def drop_durable(df: DataFrame) -> None:
         path.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(path, True)
 
 
+def release(spark: SparkSession) -> None:
+    """Let Spark drop the shuffle files of plans that are done; else they stay until the driver collects its garbage."""
+    gc.collect()
+    spark.sparkContext._jvm.System.gc()
+
+
+def small(df: DataFrame, row_bytes: int, limit: int = 64 << 20) -> DataFrame:
+    """df, marked for broadcast only if its rows are counted and known to fit; a larger one is joined by shuffle. df: a written table."""
+    return F.broadcast(df) if df.count() * row_bytes <= limit else df
+
+
 def held_out(doc_id: Column | str) -> Column:
     """True for documents that no model may learn from: crc32 of the id's text leaves 0 modulo 5."""
     doc_id = F.col(doc_id) if isinstance(doc_id, str) else doc_id

@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import decontamination, langid, licenses, mixing, neighbours, sharding, toxicity, urlfilter
+from . import decontamination, langid, licenses, mixing, neighbours, sharding, simhash, toxicity, urlfilter
 from .common import table
 
 
@@ -40,12 +40,16 @@ def op8_minimax_shards(spark: SparkSession, sf_dir: str) -> DataFrame:
     return sharding.shard(table(spark, sf_dir, "documents"))
 
 
+def op9_simhash_components(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return simhash.contract(table(spark, sf_dir, "documents"))
+
+
 def op10_pareto_mix(spark: SparkSession, sf_dir: str) -> DataFrame:
     return mixing.mix(table(spark, sf_dir, "documents"))
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_spaced_seed_leaks, op2_learned_partition_neighbours, op3_hyperdimensional_language, op4_url_digest_filter, op5_boosted_toxicity, op6_license_set_join, op8_minimax_shards, op10_pareto_mix)}
+    return {f.__name__: f for f in (op1_spaced_seed_leaks, op2_learned_partition_neighbours, op3_hyperdimensional_language, op4_url_digest_filter, op5_boosted_toxicity, op6_license_set_join, op8_minimax_shards, op9_simhash_components, op10_pareto_mix)}
 
 
 def oracle_sql() -> dict[str, str]:
