@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import decontamination, langid, licenses, mixing, neighbours, sharding, simhash, toxicity, urlfilter
+from . import decontamination, langid, licenses, mixing, neighbours, sharding, simhash, substrings, toxicity, urlfilter
 from .common import table
 
 
@@ -36,6 +36,10 @@ def op6_license_set_join(spark: SparkSession, sf_dir: str) -> DataFrame:
     return licenses.summary(licenses.scan(table(spark, sf_dir, "documents")))
 
 
+def op7_column_bwt_removal(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return substrings.remove(table(spark, sf_dir, "documents"))
+
+
 def op8_minimax_shards(spark: SparkSession, sf_dir: str) -> DataFrame:
     return sharding.shard(table(spark, sf_dir, "documents"))
 
@@ -49,7 +53,7 @@ def op10_pareto_mix(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_spaced_seed_leaks, op2_learned_partition_neighbours, op3_hyperdimensional_language, op4_url_digest_filter, op5_boosted_toxicity, op6_license_set_join, op8_minimax_shards, op9_simhash_components, op10_pareto_mix)}
+    return {f.__name__: f for f in (op1_spaced_seed_leaks, op2_learned_partition_neighbours, op3_hyperdimensional_language, op4_url_digest_filter, op5_boosted_toxicity, op6_license_set_join, op7_column_bwt_removal, op8_minimax_shards, op9_simhash_components, op10_pareto_mix)}
 
 
 def oracle_sql() -> dict[str, str]:
