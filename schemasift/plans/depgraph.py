@@ -97,7 +97,8 @@ _FKE = "fke AS (SELECT s.col_id AS src, d.col_id AS dst, s.table_name AS t FROM
 _OWN = "SELECT c.col_id AS src, f.src AS dst, 1 AS rel FROM cols c JOIN fke f ON f.t = c.table_name WHERE NOT c.is_pk AND NOT c.is_fk"
 _REF = "SELECT DISTINCT c.col_id AS src, f.dst AS dst, 1 AS rel FROM cols c JOIN fke f ON f.t = c.table_name WHERE NOT c.is_pk AND NOT c.is_fk"
 _PKE = "SELECT c.col_id AS src, k.col_id AS dst, 2 AS rel FROM cols c JOIN cols k ON k.table_name = c.table_name AND k.is_pk WHERE NOT c.is_pk"
-ALL_SQL = f"{cte('cols', 'fk')}, {_FKE}, edges AS (SELECT src, dst, 0 AS rel FROM fke UNION ALL {_OWN} UNION ALL {_PKE})"
+EDGES_SQL = f"{_FKE}, edges AS (SELECT src, dst, 0 AS rel FROM fke UNION ALL {_OWN} UNION ALL {_PKE})"
+ALL_SQL = f"{cte('cols', 'fk')}, {EDGES_SQL}"
 
 
 @query("fd_nodes", f"WITH {cte('cols')} SELECT 'all14' AS db_id, col_id, table_name, column_name FROM cols")
