@@ -12,7 +12,7 @@ from ..functions.text import digest, digest_sql
 from ..registry import query
 from ..sources import fixtures as fx
 from ..sources.catalog import cte, from_parquet, gold, questions
-from .depgraph import EDGES_SQL, TIE, build, components
+from .depgraph import EDGES_SQL, TIE, build, components, union_find
 
 Edge = tuple[int, int, int]  # src, dst, relation
 
@@ -318,8 +318,6 @@ def selection_connected(selection: DataFrame, edges: DataFrame) -> DataFrame:
     def run(key: tuple, n: pd.DataFrame, e: pd.DataFrame) -> pd.DataFrame:
         if not len(n):
             return pd.DataFrame({"qid": [], "n_parts": [], "connected": []})
-        from .depgraph import union_find
-
         parts = len(set(union_find(n["col_id"].tolist(), list(zip(e["src"], e["dst"], strict=True))).values()))
         return pd.DataFrame({"qid": [key[0]], "n_parts": [parts], "connected": [parts == 1]})
 
