@@ -11,6 +11,8 @@ from typing import NamedTuple
 
 import numpy as np
 
+U = np.uint64
+
 
 class Collection(NamedTuple):
     #: In the order of suffixes: the symbol before each (0: none, else byte + 1), common prefix with the suffix before, string, length.
@@ -40,39 +42,40 @@ class RangeMin:
 
 
 def build(data: np.ndarray, offsets: np.ndarray) -> Collection:
-    """data[offsets[i] : offsets[i + 1]] are the strings, of up to 255 bytes each."""
+    """data[offsets[i] : offsets[i + 1]] are the strings, of up to 255 bytes each, as parts of UTF-8 texts: no byte is 255."""
     m, lengths = len(offsets) - 1, np.diff(offsets)
-    before, shared = np.zeros(m, np.uint16), np.zeros(m, np.uint8)
-    string, length = np.arange(m, dtype=np.int32), np.zeros(m, np.uint8)
-    place = np.arange(m)
+    # a suffix is one number: string (40 bits), length, shared, before (8 bits each); a round moves them together
+    rows, place = np.arange(m, dtype=np.uint64) << U(24), np.arange(m)
     for j in range(1, int(lengths.max()) + 1 if m else 1):
+        before, shared = rows.view(np.uint8)[0::8].copy(), rows.view(np.uint8)[1::8].copy()
         active = np.flatnonzero(lengths >= j)
-        before[place[active]] = data[offsets[active + 1] - j].astype(np.uint16) + 1
+        before[place[active]] = data[offsets[active + 1] - j] + np.uint8(1)
+        rows[:m].view(np.uint8)[0::8] = before[:m]
         fresh = np.zeros(len(before), bool)
         fresh[place[active]] = True
-        filled = np.flatnonzero(before)
-        order = filled[np.argsort(before[filled], kind="stable")]
+        order = np.argsort(before, kind="stable")[len(before) - int(np.count_nonzero(before)) :]
         new = fresh[order]
-        at, old = m + np.flatnonzero(new), m + np.flatnonzero(~new)
-        size = m + len(order)
-
-        def moved(x: np.ndarray, put: np.ndarray | int, at=at, old=old, size=size) -> np.ndarray:
-            y = np.empty(size, x.dtype)
-            y[:m], y[old], y[at] = x[:m], x[m:], put
-            return y
-
-        inserted = string[order[new]]
+        at = m + np.flatnonzero(new)
+        inserted = (rows[order[new]] >> U(24)).astype(np.int64)
+        old = np.ones(m + len(order), bool)
+        old[at] = False
+        kept = rows
+        if m < len(rows):  # symbols filled in this round stay with their suffixes
+            kept = rows.copy()
+            kept.view(np.uint8)[0::8] = before
+        rows = np.empty(m + len(order), np.uint64)
+        rows[old] = kept
+        rows[at] = (inserted.astype(np.uint64) << U(24)) | U(j << 16)
         place[inserted] = at
         asked = np.flatnonzero(new | np.concatenate(([False], new[:-1])))
-        least = RangeMin(shared)
-        next_shared = moved(shared, 0)
         inner = asked[asked > 0]
         inner = inner[before[order[inner]] == before[order[inner - 1]]]
-        next_shared[m + asked] = 0
+        common = rows.view(np.uint8)[1::8]
+        common[m + asked] = 0
         if inner.size:
-            next_shared[m + inner] = least.query(order[inner - 1] + 1, order[inner]) + 1
-        before, string, length, shared = moved(before, 0), moved(string, inserted), moved(length, j), next_shared
-    return Collection(before, shared, string, length)
+            common[m + inner] = RangeMin(shared).query(order[inner - 1] + 1, order[inner]) + 1
+    parts = rows.view(np.uint8).reshape(-1, 8)
+    return Collection(parts[:, 0].copy(), parts[:, 1].copy(), (rows >> U(24)).astype(np.int64), parts[:, 2].copy())
 
 
 def seen_before(data: np.ndarray, offsets: np.ndarray, owner: np.ndarray, width: int) -> tuple[np.ndarray, np.ndarray]:

@@ -30,10 +30,10 @@ from .common import drop_durable, durable, release, slices
 from .hashing import mix, wide
 
 U = np.uint64
-WIDTH, GRAM = 50, 16
+WIDTH, GRAM = 50, 20
 #: Windows in a piece at most, pieces that a partition of keys gets on average, text bytes of a partition of documents,
 #: and pieces of one collection (the pieces of a key stay together).
-PIECE, PART_PIECES, PART_BYTES, COLLECTION = WIDTH - GRAM + 1, 1_000_000, 24 << 20, 30_000
+PIECE, PART_PIECES, PART_BYTES, COLLECTION = WIDTH - GRAM + 1, 2_000_000, 24 << 20, 30_000
 ODD = 0xD1342543DE82EF95
 _POWERS = [np.ones(1, np.uint64), np.ones(1, np.uint64)]
 
@@ -52,10 +52,13 @@ def pieces(data: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.ndarra
     if n < WIDTH or not (lengths >= WIDTH).any():
         return none, none, none, none.astype(np.uint64), none.astype(np.uint64)
     eight = wide(data)
-    least = mix(eight[:n] ^ mix(eight[8 : n + 8], 2), 1)
-    for step in (1, 2, 4, 8, 16):
+    tail = np.concatenate((eight[GRAM - 8 :], np.zeros(GRAM - 8, np.uint64)))[:n]
+    least = mix(eight[:n] ^ mix(eight[8 : n + 8], 2) ^ mix(tail, 5), 1)
+    step = 1
+    while 2 * step <= PIECE:
         least = np.minimum(least[:-step], least[step:])
-    least = np.minimum(least[: -(PIECE - 32)], least[PIECE - 32 :])
+        step *= 2
+    least = np.minimum(least[: step - PIECE], least[PIECE - step :])
     have = np.maximum(lengths - WIDTH + 1, 0)
     text = np.repeat(np.arange(len(lengths)), have)
     window = np.arange(len(text)) - np.repeat(np.cumsum(have) - have, have) + offsets[text]
@@ -187,37 +190,63 @@ def remove(df: DataFrame, key: str = "doc_id", text: str = "text") -> DataFrame:
     release(spark)
 
     result = "n_bytes long, n_removed long, n_spans long, kept_sha256 string"
-    names = ["id", "n_bytes", "n_removed", "n_spans", "kept_sha256", "uid", "text", "first", "count", "part", "key", "strings", "lengths", "owner", "start"]
+    names = ["id", "n_bytes", "n_removed", "n_spans", "kept_sha256", "place", "uids", "named", "sizes", "texts", "spans", "first", "count", "part", "key", "strings", "lengths", "owner", "start"]
 
-    def table_of(id_kind: pa.DataType, **cols) -> pa.RecordBatch:
-        kinds = [id_kind, *[pa.int64()] * 3, pa.string(), pa.int64(), pa.string(), pa.binary(), pa.binary(), pa.int32(), *[pa.binary()] * 5]
+    def table_of(**cols) -> pa.RecordBatch:
+        kinds = [*[pa.int64()] * 4, pa.string(), pa.int32(), *[pa.binary()] * 7, pa.int32(), *[pa.binary()] * 5]
         n = len(next(iter(cols.values())))
         return pa.RecordBatch.from_arrays([pa.array(cols.get(c, [None] * n), k) for c, k in zip(names, kinds, strict=True)], names)
 
-    def dealt_texts(batches: Iterator[pa.RecordBatch], columns: int) -> tuple[list[np.ndarray], list[pa.RecordBatch]]:
-        """Answers of a partition (ids repeated, then the columns), and the batches' rows with texts."""
+    def packed_texts(place: int, uid: np.ndarray, named: np.ndarray, texts: list[bytes]) -> dict:
+        """Texts of one partition of documents as one row."""
+        sizes, raw = np.array([len(t) for t in texts], np.int32), b"".join(texts)
+        return {"place": place, "uids": uid.tobytes(), "named": named.tobytes(), "sizes": sizes.tobytes(), "texts": pa.compress(raw, codec="zstd", asbytes=True)}
+
+    def unpacked(row: dict) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+        """(uid, named, bytes, offsets)."""
+        at = np.concatenate(([0], np.cumsum(np.frombuffer(row["sizes"], np.int32), dtype=np.int64)))
+        raw = pa.decompress(row["texts"], decompressed_size=int(at[-1]), codec="zstd", asbytes=True) if at[-1] else b""
+        return np.frombuffer(row["uids"], np.int64), np.frombuffer(row["named"], bool), np.frombuffer(raw, np.uint8), at
+
+    def dealt_texts(batches: Iterator[pa.RecordBatch], columns: int) -> tuple[list[np.ndarray], list[dict]]:
+        """Answers of a partition (ids repeated, then the columns), and the rows with texts."""
         ids, rest, texts = [], [[] for _ in range(columns)], []
         for b in batches:
-            is_text = np.array(b.column("text").is_valid().to_numpy(zero_copy_only=False))
+            is_text = np.array(b.column("texts").is_valid().to_numpy(zero_copy_only=False))
             some = b.filter(pa.array(~is_text))
             if some.num_rows:
                 ids.append(np.repeat(_join(some.column("ids"), np.int64), _join(some.column("n"), np.uint32)))
                 for k in range(columns):
                     rest[k].append(_join(some.column(f"c{k}"), np.uint8))
-            if is_text.any():
-                texts.append(b.filter(pa.array(is_text)))
+            texts += b.filter(pa.array(is_text)).to_pylist()
         return [np.concatenate(ids) if ids else np.zeros(0, np.int64), *(np.concatenate(r) if r else np.zeros(0, np.uint8) for r in rest)], texts
 
+    def pack_texts(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in (b.slice(i, 2048) for b in batches for i in range(0, b.num_rows, 2048)):
+            uid, named = b.column(1).to_numpy(zero_copy_only=False).astype(np.int64), np.array(b.column(0).is_valid().to_numpy(zero_copy_only=False))
+            place = (mix(uid.view(np.uint64), 8) % U(places)).astype(np.int64)
+            texts, rows = [t.encode() for t in b.column(2).to_pylist()], []
+            for p in np.unique(place):
+                own = np.flatnonzero(place == p)
+                rows.append(packed_texts(int(p), uid[own], named[own], [texts[i] for i in own]))
+            yield pa.RecordBatch.from_pylist(rows, pa.schema([("place", pa.int32()), *((c, pa.binary()) for c in ("uids", "named", "sizes", "texts"))]))
+
+    def pieces_in(data: np.ndarray, at: np.ndarray) -> Iterator[tuple[int, int, np.ndarray, np.ndarray]]:
+        lo = 0
+        while lo < len(at) - 1:
+            hi = max(lo + 1, int(np.searchsorted(at, at[lo] + (2 << 20), side="right")) - 1)
+            yield lo, hi, data[at[lo] : at[hi]], at[lo : hi + 1] - at[lo]
+            lo = hi
+
     def apply_told(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         (ids, whole, told_), texts = dealt_texts(batches, 2)
         known = _of(ids, whole.view(np.uint64))
         order = np.argsort(known)
         known, told_ = known[order], told_[order]
-        for batch in (t.slice(i, 2048) for t in texts for i in range(0, t.num_rows, 2048)):
-            uid, id_kind = batch.column("uid").to_numpy(zero_copy_only=False).astype(np.int64), batch.column("id").type
-            docs_ = batch.column("id").to_pylist()
+        for row in texts:
+            uid, named, every, ends = unpacked(row)
             done, kept, sent = [], [], []
-            for lo, hi, data, at in slices(batch.column("text")):
+            for lo, hi, data, at in pieces_in(every, ends):
                 own, first, count, key_, all_ = pieces(data, at)
                 mine = _of(uid[lo:hi][own], all_) if len(own) else np.zeros(0, np.uint64)
                 k = np.minimum(np.searchsorted(known, mine), max(0, len(known) - 1))
@@ -230,9 +259,9 @@ def remove(df: DataFrame, key: str = "doc_id", text: str = "text") -> DataFrame:
                 for i in range(hi - lo):
                     r = slice(ranges[i], ranges[i + 1])
                     if asked[i]:
-                        kept.append((docs_[lo + i], int(uid[lo + i]), raw[at[i] : at[i + 1]].decode(), f[r].astype(np.int32).tobytes(), c[r].astype(np.int32).tobytes()))
+                        kept.append((lo + i, raw[at[i] : at[i + 1]], f[r].astype(np.int32), c[r].astype(np.int32)))
                     else:
-                        done.append((docs_[lo + i], *without(raw[at[i] : at[i + 1]], spans(f[r], c[r]))))
+                        done.append((int(uid[lo + i]) if named[lo + i] else None, *without(raw[at[i] : at[i + 1]], spans(f[r], c[r]))))
                 if ask.any():
                     size = count[ask] + WIDTH - 1
                     part = (key_[ask] % U(parts)).astype(np.int64)
@@ -243,31 +272,24 @@ def remove(df: DataFrame, key: str = "doc_id", text: str = "text") -> DataFrame:
                         sent.append((int(p), key_[ask][some].tobytes(), data[idx].tobytes(), size[some].astype(np.uint8).tobytes(), uid[lo:hi][own[ask][some]].tobytes(), (where[some] - at[own[ask][some]]).astype(np.int32).tobytes()))
             if done:
                 x = list(zip(*done, strict=True))
-                yield table_of(id_kind, id=x[0], n_bytes=x[1], n_removed=x[2], n_spans=x[3], kept_sha256=x[4])
+                yield table_of(id=x[0], n_bytes=x[1], n_removed=x[2], n_spans=x[3], kept_sha256=x[4])
             if kept:
-                x = list(zip(*kept, strict=True))
-                yield table_of(id_kind, id=x[0], uid=x[1], text=x[2], first=x[3], count=x[4])
+                which, raws, f, c = zip(*kept, strict=True)
+                which = np.array(which)
+                out = packed_texts(row["place"], uid[which], named[which], list(raws)) | {"spans": np.array([len(x) for x in f], np.int32).tobytes(), "first": np.concatenate(f).tobytes(), "count": np.concatenate(c).tobytes()}
+                yield table_of(**{k: [v] for k, v in out.items()})
             if sent:
                 x = list(zip(*sent, strict=True))
-                yield table_of(id_kind, part=x[0], key=x[1], strings=x[2], lengths=x[3], owner=x[4], start=x[5])
+                yield table_of(part=x[0], key=x[1], strings=x[2], lengths=x[3], owner=x[4], start=x[5])
 
     def dealt(texts: DataFrame, answers: DataFrame, columns: tuple[str, ...]) -> DataFrame:
         """Texts and answers in one table, dealt to the partitions of documents."""
-
-        def with_place(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-            for b in batches:
-                uid = b.column(1).to_numpy(zero_copy_only=False).astype(np.int64)
-                place = (mix(uid.view(np.uint64), 8) % U(places)).astype(np.int32)
-                yield pa.RecordBatch.from_arrays([*b.columns, pa.array(place)], [*b.schema.names, "place"])
-
-        extra = [c for c in texts.columns if c not in ("id", "uid", "text")]
-        kinds = dict(texts.dtypes)
-        placed = texts.select("id", "uid", "text", *extra).mapInArrow(with_place, f"id {kind}, uid long, text string, {''.join(f'{c} {kinds[c]}, ' for c in extra)}place int")
         told_ = answers.select("place", "ids", "n", *(F.col(c).alias(f"c{k}") for k, c in enumerate(columns)))
-        return placed.unionByName(told_, allowMissingColumns=True).repartition(places, "place")
+        return texts.unionByName(told_, allowMissingColumns=True).repartition(places, "place")
 
-    schema = f"id {kind}, {result}, uid long, text string, first binary, count binary, part int, key binary, strings binary, lengths binary, owner binary, start binary"
-    half = durable(dealt(docs, told, ("whole", "told")).mapInArrow(apply_told, schema), "substrings-half")
+    texts = docs.mapInArrow(pack_texts, "place int, uids binary, named binary, sizes binary, texts binary")
+    schema = "id long, " + result + ", place int, " + ", ".join(f"{c} binary" for c in names[6:13]) + ", part int, " + ", ".join(f"{c} binary" for c in names[14:])
+    half = durable(dealt(texts, told, ("whole", "told")).mapInArrow(apply_told, schema), "substrings-half")
     drop_durable(told)
     release(spark)
 
@@ -305,16 +327,16 @@ def remove(df: DataFrame, key: str = "doc_id", text: str = "text") -> DataFrame:
         first, count = first.view(np.int32), count.view(np.int32)
         order = np.argsort(ids, kind="stable")
         ids, first, count = ids[order], first[order], count[order]
-        for batch in (t.slice(i, 2048) for t in texts for i in range(0, t.num_rows, 2048)):
-            rows = []
-            uid = batch.column("uid").to_pylist()
+        for row in texts:
+            uid, named, every, at = unpacked(row)
+            n = np.concatenate(([0], np.cumsum(np.frombuffer(row["spans"], np.int32))))
+            f0, c0, raw = np.frombuffer(row["first"], np.int32), np.frombuffer(row["count"], np.int32), every.tobytes()
             lo, hi = np.searchsorted(ids, uid, side="left"), np.searchsorted(ids, uid, side="right")
-            for i, (text_, f, c) in enumerate(zip(batch.column("text").to_pylist(), batch.column("first").to_pylist(), batch.column("count").to_pylist(), strict=True)):
-                f, c = np.concatenate((np.frombuffer(f, np.int32), first[lo[i] : hi[i]])), np.concatenate((np.frombuffer(c, np.int32), count[lo[i] : hi[i]]))
-                rows.append(without(text_.encode(), spans(f, c)))
+            rows = [without(raw[at[i] : at[i + 1]], spans(np.concatenate((f0[n[i] : n[i + 1]], first[lo[i] : hi[i]])), np.concatenate((c0[n[i] : n[i + 1]], count[lo[i] : hi[i]])))) for i in range(len(uid))]
             x = list(zip(*rows, strict=True))
-            yield pa.RecordBatch.from_arrays([batch.column("id"), *(pa.array(v, pa.int64()) for v in x[:3]), pa.array(x[3], pa.string())], names[:5])
+            yield pa.RecordBatch.from_arrays([pa.array([int(u) if k else None for u, k in zip(uid, named, strict=True)], pa.int64()), *(pa.array(v, pa.int64()) for v in x[:3]), pa.array(x[3], pa.string())], names[:5])
 
-    waiting = half.where("uid IS NOT NULL").select("id", "uid", "text", "first", "count")
-    last = dealt(waiting, late, ("first", "count")).mapInArrow(finish, f"id {kind}, {result}")
-    return half.where("n_bytes IS NOT NULL").select(*names[:5]).union(last).withColumnRenamed("id", key)
+    waiting = half.where("uids IS NOT NULL").select("place", "uids", "named", "sizes", "texts", "spans", "first", "count")
+    last = dealt(waiting, late, ("first", "count")).mapInArrow(finish, f"id long, {result}")
+    every = half.where("n_bytes IS NOT NULL").select(*names[:5]).union(last)
+    return every.select(F.col("id").cast(kind).alias(key), *names[1:5])
