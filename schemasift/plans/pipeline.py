@@ -204,7 +204,25 @@ def sensitivity(spark: SparkSession, sf: str, depths: list[int] = (0, 1, 2, 3, 4
 
 @query("w04_sensitivity")
 def w04_sensitivity(spark: SparkSession, sf: str) -> DataFrame:
-    return sensitivity(spark, sf, [0, 1, 2], ["S", "M"])
+    """The whole grid of depths and widths."""
+    return sensitivity(spark, sf)
+
+
+@query("graph_variants")
+def graph_variants(spark: SparkSession, sf: str) -> DataFrame:
+    """(scope, reverse, link_keys, roc_auc, pr_auc) of the test questions for each form of the dependency graph."""
+    c = from_parquet(spark, sf)
+    rows, (learn, test), out = table_of(features_of(spark, sf), gold(spark, c)), split(), []
+    for scope, reverse, link in [("own", True, False), ("referenced", True, False), ("both", True, False), ("both", False, False), ("both", True, True)]:
+        forward = depgraph.build(c, scope, link)
+        edges = depgraph.with_reverse(forward) if reverse else forward
+        m, (s, d, r) = train(rows, edges, learn, "S"), edge_arrays(rows, edges)
+        for q, g in rows.groupby("qid"):
+            if q in test:
+                out += [(scope, reverse, link, q, int(i), float(v), int(y)) for i, v, y in zip(g["col_id"], relgraph.forward(m.encoder.vectors(g[FEATURES].to_numpy(np.float64)), s, d, r, m.graph) @ m.graph.w, g["y"], strict=True)]
+    scored = spark.createDataFrame(out, "scope string, reverse boolean, link_keys boolean, qid string, col_id long, score double, y int")
+    by = ["scope", "reverse", "link_keys"]
+    return metrics.roc_auc(scored, by).join(metrics.pr_auc(scored, by), by)
 
 
 @query("exec_on_subschema")

@@ -7,6 +7,7 @@ from typing import NamedTuple
 
 import numpy as np
 import pandas as pd
+from pyspark import Broadcast
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
@@ -88,12 +89,18 @@ def backward(grad: np.ndarray, src: np.ndarray, dst: np.ndarray, weights: Weight
     return grad, out[::-1]
 
 
-def rerank(vectors: DataFrame, edges: DataFrame, nodes: DataFrame, weights: Weights) -> DataFrame:
-    """(qid, col_id, score). vectors: (qid, col_id, h); nodes: (col_id, comp). Questions and graph components are groups of their own:
-    messages never cross components, so all layers run inside one group after a single shuffle."""
+def held_edges(edges: DataFrame, nodes: DataFrame) -> Broadcast:
+    """Each component's edges, once per database: a schema's edges are bounded by its columns, so every task may hold them."""
+    rows = edges.join(nodes.withColumnRenamed("col_id", "src"), "src").select("comp", "src", "dst", "rel").toPandas()
+    return edges.sparkSession.sparkContext.broadcast({c: g[["src", "dst", "rel"]].to_numpy() for c, g in rows.groupby("comp")})
+
+
+def rerank(vectors: DataFrame, edges: DataFrame | Broadcast, nodes: DataFrame, weights: Weights) -> DataFrame:
+    """(qid, col_id, score). vectors: (qid, col_id, h); edges: a table or what ``held_edges`` made of it; nodes: (col_id, comp).
+    Questions and graph components are groups of their own: messages never cross components, so all layers run inside one
+    group after a single shuffle."""
     spark = vectors.sparkSession
-    # a schema's edges: bounded by its columns, so every task may hold them
-    listed = spark.sparkContext.broadcast({c: g[["src", "dst", "rel"]].to_numpy() for c, g in edges.join(nodes.withColumnRenamed("col_id", "src"), "src").toPandas().groupby("comp")})
+    listed = held_edges(edges, nodes) if isinstance(edges, DataFrame) else edges
     plain = ([[np.asarray(x) for x in layer] for layer in weights.layers], weights.w, weights.b)
     shared = spark.sparkContext.broadcast(plain)
 

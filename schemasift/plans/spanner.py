@@ -5,6 +5,7 @@ from __future__ import annotations
 import heapq
 
 import pandas as pd
+from pyspark import Broadcast
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
@@ -169,14 +170,20 @@ SPANNERS = {"greedy": span_greedy, "voronoi": span_voronoi}
 SPAN_ROWS = "qid string, col_id long, role string, cost int, connected boolean"
 
 
-def span(terminals: DataFrame, columns: DataFrame, edges: DataFrame, nodes: DataFrame, method: str = "greedy") -> DataFrame:
-    """(qid, col_id, role, cost, connected) of R and the auxiliary columns. Groups are a question and a graph component; each
-    component's edges are part of its schema, so every task may hold them. ``connected`` tells whether the question's
-    terminals are in one component."""
+def held_schema(columns: DataFrame, edges: DataFrame, nodes: DataFrame) -> Broadcast:
+    """(edges by component, table of each column, key columns), once per database; all are part of its schema, so every task may
+    hold them."""
     listed = edges.join(nodes.withColumnRenamed("col_id", "src"), "src").select("comp", "src", "dst", "rel").toPandas()
     by = {int(c): list(zip(g["src"].tolist(), g["dst"].tolist(), g["rel"].tolist(), strict=True)) for c, g in listed.groupby("comp")}
     about = columns.select("col_id", "table_name", (F.col("is_pk") | F.col("is_fk")).alias("k")).collect()  # the schema's columns
-    shared = terminals.sparkSession.sparkContext.broadcast((by, {r["col_id"]: r["table_name"] for r in about}, {r["col_id"] for r in about if r["k"]}))
+    return edges.sparkSession.sparkContext.broadcast((by, {r["col_id"]: r["table_name"] for r in about}, {r["col_id"] for r in about if r["k"]}))
+
+
+def span(terminals: DataFrame, columns: DataFrame, edges: DataFrame, nodes: DataFrame, method: str = "greedy", held: Broadcast | None = None) -> DataFrame:
+    """(qid, col_id, role, cost, connected) of R and the auxiliary columns. Groups are a question and a graph component;
+    ``held`` is what ``held_schema`` made, if many calls share it. ``connected`` tells whether the question's terminals are in
+    one component."""
+    shared = held or held_schema(columns, edges, nodes)
     spanned = SPANNERS[method]
 
     def run(key: tuple, g: pd.DataFrame) -> pd.DataFrame:

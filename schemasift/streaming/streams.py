@@ -13,7 +13,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
-from ..functions.text import digest
+from ..functions.text import digest, tokens, tokens_sql
 from ..plans import spanner
 from ..registry import query
 from ..sources.catalog import from_parquet, questions
@@ -66,6 +66,20 @@ def answer_questions(stream: DataFrame, answer: Callable[[DataFrame], DataFrame]
     stream.writeStream.foreachBatch(one).option("checkpointLocation", checkpoint).trigger(availableNow=True).start().awaitTermination()
 
 
+def index_values(stream: DataFrame, values: str, checkpoint: str) -> None:
+    """A value index that grows: each micro-batch of (col_id, value) adds what no other batch has. A batch that runs again
+    overwrites its own part, so nothing is counted twice."""
+
+    def one(batch: DataFrame, number: int) -> None:
+        spark, new = batch.sparkSession, batch.where("value IS NOT NULL").distinct()
+        known = spark.read.schema("col_id long, value string, len long, batch long").parquet(f"{values}/batch=*").where(F.col("batch") != number) if number else None
+        if known is not None:
+            new = new.join(known.select("col_id", "value"), ["col_id", "value"], "left_anti")
+        new.withColumn("len", F.size(tokens("value")).cast("long")).withColumn("batch", F.lit(number).cast("long")).write.mode("overwrite").parquet(f"{values}/batch={number}")
+
+    stream.writeStream.foreachBatch(one).option("checkpointLocation", checkpoint).trigger(availableNow=True).start().awaitTermination()
+
+
 _TUMBLING = "SELECT strftime(time_bucket(INTERVAL 6 HOUR, ts), '%Y-%m-%d %H:%M') AS start, event_type, count(*) AS n FROM events GROUP BY 1, 2"
 
 
@@ -94,10 +108,23 @@ def _budgets(spark: SparkSession, sf: str) -> DataFrame:
     return drained(budgets(events(spark, sf)), "update").withColumn("spent", F.round("spent", 4))
 
 
+@query("stream_value_index", f"SELECT token, count(*) AS df FROM (SELECT value, unnest(list_distinct({tokens_sql('value')})) AS token FROM (SELECT DISTINCT p_name AS value FROM part WHERE p_name IS NOT NULL)) GROUP BY token")
+def _value_index(spark: SparkSession, sf: str) -> DataFrame:
+    """Document frequencies of the part names' tokens from an index that a stream fills."""
+    from ..plans.valueindex import postings, token_stats
+    from ..sources.sinks import scratch
+
+    schema = spark.read.parquet(f"{sf}/part.parquet").schema
+    stream = spark.readStream.schema(schema).parquet(f"{sf}/par[t].parquet").select(F.lit(0).cast("long").alias("col_id"), F.col("p_name").alias("value"))
+    at = scratch(spark, "values")
+    index_values(stream, f"{at}/values", f"{at}/checkpoint")
+    return token_stats(postings(spark.read.parquet(f"{at}/values")))
+
+
 @query("stream_questions")
 def _questions(spark: SparkSession, sf: str) -> DataFrame:
     """Conversation turns of users as questions, by the words that they share with column names of the catalog."""
-    from ..functions.text import expanded, tokens
+    from ..functions.text import expanded
     from ..sources.sinks import scratch
 
     columns = from_parquet(spark, sf).columns.select("col_id", tokens(expanded("column_name")).alias("cw"))
