@@ -20,7 +20,7 @@ from .context import FEATURES
 
 #: Vector width and features by size. Fixed values.
 SIZES = {"S": (16, 8), "M": (32, 10), "L": (64, 12)}
-LEARNING_RATE, EPOCHS, GRAPH_RATE, GRAPH_EPOCHS, NEGATIVES, GAMMA = 0.02, 60, 0.005, 40, 7, 1.0
+LEARNING_RATE, EPOCHS, GRAPH_RATE, GRAPH_EPOCHS, NEGATIVES, GAMMA = 0.02, 60, 5e-5, 40, 7, 1.0
 
 
 class Encoder(NamedTuple):
@@ -108,13 +108,17 @@ def train_encoder(groups: Groups, size: str = "L", seed: int = 0, epochs: int =
     return Encoder(*params), losses
 
 
-def train_graph(groups: Groups, encoder: Encoder, src: np.ndarray, dst: np.ndarray, rel: np.ndarray, depth: int = 2, width: int | None = None, seed: int = 0, epochs: int = GRAPH_EPOCHS, gamma: float = GAMMA, relations: int = relgraph.RELATIONS) -> tuple[relgraph.Weights, list[float]]:
-    """Graph layers over frozen vectors; all columns of a question are one graph."""
+def train_graph(groups: Groups, encoder: Encoder, src: np.ndarray, dst: np.ndarray, rel: np.ndarray, depth: int = 2, width: int | None = None, seed: int = 0, epochs: int = GRAPH_EPOCHS, gamma: float = GAMMA, relations: int = relgraph.RELATIONS, rate: float = GRAPH_RATE) -> tuple[relgraph.Weights, list[float]]:
+    """Graph layers over frozen vectors; all columns of a question are one graph. Layers as wide as the vectors start as the
+    identity without messages, so training starts at the encoder's own scores."""
     d = encoder.w1.shape[1]
     start = relgraph.seeded([d, *([width or d] * depth)], seed + 1, relations)
     w = encoder.w2.copy() if (width or d) == d or not depth else start.w.copy()
+    if (width or d) == d:
+        for layer in start.layers:
+            layer.own[:], layer.message[:] = np.eye(d), 0.0
     params = [x for layer in start.layers for x in layer] + [w]
-    adam, rng, losses = Adam(params, GRAPH_RATE), np.random.default_rng(seed), []
+    adam, rng, losses = Adam(params, rate), np.random.default_rng(seed), []
     rebuild = lambda: relgraph.Weights([relgraph.Layer(*params[4 * i : 4 * i + 4]) for i in range(depth)], params[-1], 0.0)
     for _ in range(epochs):
         total, n = 0.0, 0
@@ -122,13 +126,13 @@ def train_graph(groups: Groups, encoder: Encoder, src: np.ndarray, dst: np.ndarr
             x, y = groups[k]
             weights, tape = rebuild(), []
             last = relgraph.forward(encoder.vectors(x), src, dst, rel, weights, tape)
-            score, d_score = last @ weights.w, np.zeros(len(y))
-            for pos, others in draws(y, rng):
+            score, d_score, chosen = last @ weights.w, np.zeros(len(y)), draws(y, rng)
+            for pos, others in chosen:
                 bad = others[gamma - score[pos] + score[others] > 0]
                 total, n = total + float((gamma - score[pos] + score[bad]).sum()), n + 1
                 d_score[pos] -= len(bad)
                 d_score[bad] += 1
-            d_score /= max(1, n)
+            d_score /= max(1, len(chosen))
             _, grads = relgraph.backward(d_score[:, None] * weights.w, src, dst, weights, tape)
             adam.step(params, [g for layer in grads for g in layer] + [last.T @ d_score])
         losses.append(total / max(1, n))

@@ -173,3 +173,25 @@ def test_grouping_expands_without_loss(spark, sf):
     c = catalog.from_parquet(spark, sf).columns
     g = describe.group_tables(c)
     assert g.count() == 14 and g.where("table_name <> representative").count() == 0
+
+
+def test_graph_starts_at_the_encoder():
+    rng = np.random.default_rng(3)
+    x, y = rng.normal(size=(6, 12)), np.array([1, 0, 0, 1, 0, 0])
+    e = encoder.fresh("M")
+    src, dst, rel = np.array([0, 1, 2, 3]), np.array([1, 2, 3, 4]), np.array([0, 1, 2, 3])
+    w, _ = encoder.train_graph([(x, y)], e, src, dst, rel, epochs=0)
+    assert relgraph.forward(e.vectors(x), src, dst, rel, w) @ w.w == pytest.approx(e.logit(x))
+
+
+def test_streamed_index_counts_each_value_once(spark, tmp_path):
+    from schemasift.streaming.streams import index_values
+
+    schema, at = "col_id long, value string", f"file://{tmp_path}"
+    for k, values in enumerate([["a b", "a c", None], ["a b", "d"], ["", "d", "a c", "e"]]):
+        spark.createDataFrame([(1, v) for v in values], schema).coalesce(1).write.parquet(f"{at}/in/part{k}")
+    stream = spark.readStream.schema(schema).option("maxFilesPerTrigger", 1).parquet(f"{at}/in/*")
+    index_values(stream, f"{at}/values", f"{at}/checkpoint")
+    got = sorted((r.value, r.len) for r in spark.read.parquet(f"{at}/values").collect())
+    assert got == [("", 0), ("a b", 2), ("a c", 2), ("d", 1), ("e", 1)]
+    assert spark.read.parquet(f"{at}/values").select("batch").distinct().count() == 3
