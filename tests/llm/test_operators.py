@@ -272,3 +272,24 @@ def test_pipeline(spark, sf):
     rows = out.collect()
     assert 0 < len(rows) and {r.shard for r in rows} <= set(range(8))
     assert [n for n, _ in corpus_pipeline.STAGES] == ["language", "near_copies", "leaks", "source_mix", "shards"]
+
+
+@pytest.mark.parametrize("rows", ["empty", "nulls", "mixed"])
+def test_stages_on_odd_tables(spark, sf, texts, rows):
+    """Every stage by itself: empty tables, rows of nulls only, and repeated rows with null and clashing columns."""
+    import corpus_pipeline
+
+    df = docs(spark, texts * 2).withColumnRenamed("size", "copies")
+    if rows != "mixed":
+        df = spark.createDataFrame([(None,) * 6] * (3 if rows == "nulls" else 0), DOCS)
+    n = df.count()
+    for name, stage in corpus_pipeline.STAGES:
+        out = stage(spark, df, sf)
+        got = out.collect()
+        assert name == "shards" or out.columns == df.columns
+        if name in ("leaks", "shards"):
+            assert len(got) == n  # nothing here is a benchmark passage
+        if rows == "empty":
+            assert not got
+        if name == "near_copies" and rows == "nulls":
+            assert len(got) == n  # rows without an id stay
