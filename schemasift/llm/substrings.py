@@ -33,7 +33,7 @@ U = np.uint64
 WIDTH, GRAM = 50, 20
 #: Windows in a piece at most, pieces that a partition of keys gets on average, text bytes of a partition of documents,
 #: and pieces of one collection (the pieces of a key stay together).
-PIECE, PART_PIECES, PART_BYTES, COLLECTION = WIDTH - GRAM + 1, 2_000_000, 24 << 20, 30_000
+PIECE, PART_PIECES, PART_BYTES, COLLECTION = WIDTH - GRAM + 1, 2_000_000, 24 << 20, 8_000
 ODD = 0xD1342543DE82EF95
 _POWERS = [np.ones(1, np.uint64), np.ones(1, np.uint64)]
 
