@@ -8,7 +8,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from schemasift.llm import decontamination, langid, mixing, sharding, simhash
+from schemasift.llm import decontamination, langid, mixing, nearcopies, sharding
 from schemasift.llm.common import durable, held_out, small, table
 
 
@@ -25,8 +25,8 @@ def language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Of each group linked by 0.8 of their five-word shingles, the document with the smallest id stays."""
-    return simhash.keep_one(docs, simhash.similar(0.8, 5))
+    """Of each group linked by an exact Jaccard of 0.8 of their five-word shingles, the document with the smallest id stays."""
+    return nearcopies.keep_one(docs, 0.8, 5)
 
 
 def leaks(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

@@ -26,8 +26,9 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import components, durable, release, slices, small
+from .common import components, durable, release, slices
 from .hashing import bit_votes, mix, shingles
+from .nearcopies import keep_one  # noqa: F401  near copies by exact similarity
 
 U = np.uint64
 #: Entries that one partition gets on average, and stored entries of one value beyond which it is dealt over a grid.
@@ -58,17 +59,6 @@ class Scheme(NamedTuple):
 CONTRACT = Scheme(3, 1, (Segment(0, 0, 32, 1), Segment(0, 32, 32, 0)), 2)
 
 
-def similar(similarity: float = 0.8, shingle: int = 5) -> Scheme:
-    """Sets of shingles of at least this similarity J, by the angle of their SimHashes: the share of differing bits is
-    arccos(2J / (1 + J)) / pi on average; one standard deviation of 256 bits is allowed above it."""
-    share = float(np.arccos(2 * similarity / (1 + similarity)) / np.pi)
-    bits = 256
-    distance = int(bits * share + np.sqrt(bits * share * (1 - share)))
-    # eleven segments of 23 bits, none across words: two and three quarters a word
-    places = [(w, s) for w in range(4) for s in (0, 23)] + [(w, 41) for w in range(3)]
-    return Scheme(shingle, 4, tuple(Segment(w, s, 23, -1) for w, s in places), distance, True, 6, 4)
-
-
 def fingerprints(df: DataFrame, scheme: Scheme, key: str = "doc_id", text: str = "text") -> DataFrame:
     """(key, node, fp, weak): the fingerprint as little-endian words, its number (the fingerprint itself if it is one word), and
     each segment's weakest bits, weakest first."""
@@ -276,10 +266,3 @@ def grouped(df: DataFrame, scheme: Scheme, key: str = "doc_id", text: str = "tex
 def contract(df: DataFrame) -> DataFrame:
     """(doc_id, fingerprint, component_id): fingerprints of 64 bits as 16 hex digits, links at 2 differing bits or fewer."""
     return grouped(df, CONTRACT).select("doc_id", F.lower(F.lpad(F.hex("node"), 16, "0")).alias("fingerprint"), "component_id")
-
-
-def keep_one(df: DataFrame, scheme: Scheme | None = None, key: str = "doc_id", text: str = "text") -> DataFrame:
-    """The rows of df without those that are near copies of a row with a smaller id; rows without an id stay."""
-    scheme = scheme or similar()
-    gone = durable(grouped(df, scheme, key, text).where(F.col(key) > F.col("component_id")).select(F.col(key).alias("__gone")).distinct(), "simhash-gone")
-    return df.join(small(gone, 16), F.col(key) == F.col("__gone"), "left_anti")

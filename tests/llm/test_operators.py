@@ -10,7 +10,7 @@ import numpy as np
 import pytest
 import xxhash
 
-from schemasift.llm import columnbwt, common, decontamination, hashing, langid, licenses, mixing, neighbours, sharding, simhash, substrings, toxicity, urlfilter
+from schemasift.llm import columnbwt, common, decontamination, hashing, langid, licenses, mixing, nearcopies, neighbours, sharding, simhash, substrings, toxicity, urlfilter
 
 DOCS = "doc_id long, text string, lang string, source string, n_chars long, size string"
 
@@ -120,6 +120,35 @@ def test_near_copies_stage(spark):
     assert kept == {i + 100 if i != 3 else None for i in range(30)} | {133}  # the row without an id stays, so its copy is the first with one
 
 
+def five(text):
+    w = text.split()
+    return {" ".join(w[i : i + 5]) for i in range(max(1, len(w) - 4))}
+
+
+@pytest.mark.parametrize("listed", [nearcopies.LISTED, 2])
+def test_near_copies_are_exact(spark, listed):
+    """Pairs from 0.7 to 0.9, groups beyond a value's listed members, and chains, against brute force."""
+    rng = random.Random(12)
+    texts = []
+    for n, changed in [*itertools.product([94, 104], range(5, 18)), *[(94, 10)] * 60, *[(94, 11)] * 60]:
+        w = words(rng, n, 10**6).split()
+        texts += [" ".join(w), " ".join(w[:-changed] + words(rng, changed, 10**6).split())]
+    w = words(rng, 94, 10**6).split()
+    for k in range(12):  # all alike below the threshold, then steps that link each to the next
+        texts.append(" ".join(w[:80] + words(rng, 14, 10**6).split()))
+    for k in range(12):
+        w[7 * k : 7 * k + 2] = words(rng, 2, 10**6).split()
+        texts.append(" ".join(w))
+    sets = [five(t) for t in texts]
+    root = list(range(len(texts)))
+    for a, b in itertools.combinations(range(len(texts)), 2):
+        same = len(sets[a] & sets[b])
+        if 10 * same >= 8 * (len(sets[a]) + len(sets[b]) - same):
+            root = [root[a] if r == root[b] else r for r in root] if root[a] < root[b] else [root[b] if r == root[a] else r for r in root]
+    df = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string").repartition(4)
+    assert sorted(r.doc_id for r in nearcopies.keep_one(df, listed=listed).collect()) == sorted(set(root))
+
+
 def test_masks_miss_nothing():
     for n in range(decontamination.SHORTEST, decontamination.WINDOW + 1):
         for bad in itertools.combinations(range(n), n - decontamination.needed(n)):
