@@ -5,6 +5,7 @@ Every stage takes (spark, docs, sf_dir) and works on all rows of docs; all but t
 
 from __future__ import annotations
 
+import numpy as np
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -20,6 +21,8 @@ def _without(docs: DataFrame, gone: DataFrame) -> DataFrame:
 def language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents in which no language can be told (no letter at all) go."""
     names, protos = langid.prototypes(langid.piece_counts(docs.where(~held_out("doc_id"))))
+    if not names:  # nothing to learn from; any letter will do
+        names, protos = ["any"], np.zeros((1, langid.WIDTH))
     said = langid.predict(docs, names, protos)
     return _without(docs, durable(said.where("lang_pred = 'und'").select(F.col("doc_id").alias("__gone")).distinct(), "pipeline-und"))
 

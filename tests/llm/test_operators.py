@@ -204,6 +204,13 @@ def test_language(spark, texts):
     assert langid.identify(df.limit(0)).count() == 0
 
 
+def test_language_stage_without_languages(spark, sf):
+    import corpus_pipeline
+
+    df = spark.createDataFrame([(1, "some words", None), (2, "12 !", None), (3, None, None), (None, "34", None), (5, "ü", None)], "doc_id long, text string, lang string")
+    assert {r.doc_id for r in corpus_pipeline.language(spark, df, sf).collect()} == {1, None, 5}
+
+
 def test_urls(spark):
     urls = ["http://Example.COM/en/7x?q", "http://a.com/en/1", "https://net/de/#x", "http://x.example.net/de/81", "ftp://www.adult-z.org/fr/", None, "no url", "http://org", "http://b.org/es/", "x://c.com?/en/", "http://notcom/en/"]
     df = spark.createDataFrame([(i, u, "h") for i, u in enumerate(urls)], "page_id long, url string, host string")
