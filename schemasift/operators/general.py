@@ -143,17 +143,33 @@ def _knn(t: Load) -> DataFrame:
     return pairs.withColumn("r", F.row_number().over(W.partitionBy("q").orderBy(F.desc(F.round("s", 9)), "v"))).where("r <= 5").select("q", "v", F.round("s", 6).alias("score"))
 
 
+#: Tables of sign buckets, bits of each, and how many bits a probed bucket may differ in.
+LSH_TABLES, LSH_BITS, LSH_RADIUS = 36, 12, 2
+
+
 @op("knn_lsh", None)
 def _lsh(t: Load) -> DataFrame:
-    """Signs against fixed planes make the buckets; candidates of equal buckets are ranked exactly."""
+    """Signs against fixed planes make the buckets; a query probes all buckets within the radius, and what it meets is ranked exactly."""
+    from itertools import combinations
+
     import numpy as np
 
-    planes = np.random.default_rng(11).normal(size=(4, 6, 64))
-    base = t("embeddings").select("vec_id", "embedding", *(sum((F.when(dot(C("embedding"), F.array(*map(L, map(float, p)))) > 0, 1 << i).otherwise(0) for i, p in enumerate(ps)), L(k << 8)).alias(f"b{k}") for k, ps in enumerate(planes)))
-    every = base.select("vec_id", "embedding", F.explode(F.array(*(C(f"b{k}") for k in range(len(planes))))).alias("bucket"))
-    q = every.where("vec_id % 100 = 0").select(C("vec_id").alias("q"), C("embedding").alias("a"), "bucket")
-    near = every.join(q, "bucket").where("q <> vec_id").select("q", C("vec_id").alias("v"), cosine(C("a"), C("embedding")).alias("s")).distinct()
-    return near.withColumn("r", F.row_number().over(W.partitionBy("q").orderBy(F.desc("s"), "v"))).where("r <= 5").select("q", "v", F.round("s", 6).alias("score"))
+    planes = np.random.default_rng(11).normal(size=(LSH_TABLES, LSH_BITS, 64))
+    near = [sum(1 << i for i in bits) for r in range(LSH_RADIUS + 1) for bits in combinations(range(LSH_BITS), r)]
+
+    def buckets(frames):
+        for frame in frames:
+            x = np.array(frame.pop("embedding").tolist(), np.float64).reshape(-1, 64)
+            value = ((np.einsum("nd,tbd->ntb", x, planes) > 0) << np.arange(LSH_BITS)).sum(2) + (np.arange(LSH_TABLES) << LSH_BITS)
+            yield frame.assign(buckets=list(value.astype(np.int32)))
+
+    rows = t("embeddings").select("vec_id", "embedding").where("embedding is not null")
+    every = rows.mapInPandas(buckets, f"vec_id {dict(rows.dtypes)['vec_id']}, buckets array<int>").select("vec_id", F.explode("buckets").alias("bucket"))
+    q = every.where("vec_id % 100 = 0").select(C("vec_id").alias("q"), F.explode(F.transform(F.array(*map(L, near)), lambda m: C("bucket").bitwiseXOR(m))).alias("bucket"))
+    met = every.join(q, "bucket").where("q <> vec_id").select("q", C("vec_id").alias("v")).distinct()
+    a, b = rows.where("vec_id % 100 = 0").select(C("vec_id").alias("q"), C("embedding").alias("a")), rows.select(C("vec_id").alias("v"), C("embedding").alias("b"))
+    scored = met.join(a, "q").join(b, "v").select("q", "v", cosine(C("a"), C("b")).alias("s"))
+    return scored.withColumn("r", F.row_number().over(W.partitionBy("q").orderBy(F.desc(F.round("s", 9)), "v"))).where("r <= 5").select("q", "v", F.round("s", 6).alias("score"))
 
 
 op("knn_embeddings", "SELECT label, round(avg(sqrt(list_sum(list_transform(embedding, lambda x: CAST(x AS DOUBLE) * x)))), 6) AS norm FROM embeddings GROUP BY 1")(lambda t: t("embeddings").groupBy("label").agg(F.round(F.avg(norm(C("embedding"))), 6).alias("norm")))

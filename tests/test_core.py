@@ -195,3 +195,11 @@ def test_streamed_index_counts_each_value_once(spark, tmp_path):
     got = sorted((r.value, r.len) for r in spark.read.parquet(f"{at}/values").collect())
     assert got == [("", 0), ("a b", 2), ("a c", 2), ("d", 1), ("e", 1)]
     assert spark.read.parquet(f"{at}/values").select("batch").distinct().count() == 3
+
+
+def test_lsh_recall(spark):
+    """Nine tenths of the exact five nearest."""
+    for sf in ("sf0.001", "sf0.01"):
+        exact, found = ({(r.q, r.v): r.score for r in QUERIES[name](spark, f"/root/testdata/{sf}").collect()} for name in ("knn_exact", "knn_lsh"))
+        same = exact.keys() & found.keys()
+        assert len(same) >= 0.9 * len(exact) and all(exact[k] == found[k] for k in same)
