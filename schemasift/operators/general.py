@@ -166,9 +166,9 @@ def _lsh(t: Load) -> DataFrame:
     rows = t("embeddings").select("vec_id", "embedding").where("embedding is not null")
     every = rows.mapInPandas(buckets, f"vec_id {dict(rows.dtypes)['vec_id']}, buckets array<int>").select("vec_id", F.explode("buckets").alias("bucket"))
     q = every.where("vec_id % 100 = 0").select(C("vec_id").alias("q"), F.explode(F.transform(F.array(*map(L, near)), lambda m: C("bucket").bitwiseXOR(m))).alias("bucket"))
-    met = every.join(q, "bucket").where("q <> vec_id").select("q", C("vec_id").alias("v")).distinct()
+    met = every.join(q, "bucket").where("q <> vec_id").groupBy(C("vec_id").alias("v")).agg(F.collect_set("q").alias("qs"))
     a, b = rows.where("vec_id % 100 = 0").select(C("vec_id").alias("q"), C("embedding").alias("a")), rows.select(C("vec_id").alias("v"), C("embedding").alias("b"))
-    scored = met.join(a, "q").join(b, "v").select("q", "v", cosine(C("a"), C("b")).alias("s"))
+    scored = b.join(met, "v").select("v", "b", F.explode("qs").alias("q")).join(F.broadcast(a), "q").select("q", "v", cosine(C("a"), C("b")).alias("s"))
     return scored.withColumn("r", F.row_number().over(W.partitionBy("q").orderBy(F.desc(F.round("s", 9)), "v"))).where("r <= 5").select("q", "v", F.round("s", 6).alias("score"))
 
 
