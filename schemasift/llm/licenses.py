@@ -1,6 +1,7 @@
 """License scans by an exact set-similarity join of text blocks with notice templates.
 
-A block (a line, or the whole text for the phrase templates) meets a template when it holds at least a threshold of the
+A block (a line, a run of words a little longer than the template that crosses line breaks but no line without words, or
+the whole text for the phrase templates) meets a template when it holds at least a threshold of the
 template's distinct words. Words stand in the order of their frequency over all documents, rarest first; a block that
 shares none of a template's prefix (the words that it can't all miss) is out by the prefix filter, one with too few words by
 the length filter, and the walk through the template's words ends by the positional filter once too few are left. None of
@@ -45,6 +46,7 @@ class Template:
         self.label = label
         self.sorted = sorted(set(words.encode().split()), key=lambda w: (order.get(w, 0), w))
         self.needed = -(-len(self.sorted) * tenths // 10)
+        self.window = len(words.split()) + len(words.split()) // 5
         self.prefix = self.sorted[: len(self.sorted) - self.needed + 1]
 
     def overlap(self, block: set[bytes]) -> int:
@@ -84,21 +86,55 @@ def scan(df: DataFrame, key: str = "doc_id", text: str = "text", phrases: Sequen
     kind = dict(df.dtypes)[key]
     match = pa.list_(pa.struct([("label", pa.string()), ("base", pa.bool_()), ("line", pa.int32()), ("first_word", pa.int64()), ("n", pa.int32()), ("share", pa.float64())]))
 
+    def wrapped(lines: list[tuple[int, int, list[bytes]]]) -> list[dict]:
+        """The best run of words of each template that no single line of the paragraph meets."""
+        if len(lines) < 2:
+            return []
+        found, block = [], {w for _, _, here in lines for w in here}
+        if block.isdisjoint(prefixes):
+            return []
+        for t in parts:
+            if not t.overlap(block) or any(t.overlap(set(here)) for _, _, here in lines):
+                continue
+            own = set(t.sorted)
+            at = [(begin + k, w) for _, begin, here in lines for k, w in enumerate(here) if w in own]
+            held: Counter[bytes] = Counter()
+            best, place, lo = 0, 0, 0
+            for end, w in at:
+                held[w] += 1
+                while at[lo][0] <= end - t.window:
+                    held[at[lo][1]] -= 1
+                    if not held[at[lo][1]]:
+                        del held[at[lo][1]]
+                    lo += 1
+                if len(held) > best:
+                    best, place = len(held), at[lo][0]
+            if best >= t.needed:
+                line = max(number for number, begin, _ in lines if begin <= place)
+                found.append({"label": t.label, "base": False, "line": line, "first_word": place, "n": t.window, "share": best / len(t.sorted)})
+        return found
+
     def matches(raw: bytes, words: list[bytes]) -> list[dict]:
         found, every = [], set(words)
         for template, phrase in whole:
             if template.overlap(every):
                 found += [{"label": template.label, "base": True, "line": None, "first_word": at, "n": len(phrase), "share": 1.0} for at, w in enumerate(words) if w == phrase[0] and words[at : at + len(phrase)] == phrase]
         first = 0
+        paragraph: list[tuple[int, int, list[bytes]]] = []
         for number, line in enumerate(raw.split(b"\n")):
             here = line.split()
+            if here:
+                paragraph.append((number, first, here))
+            else:
+                found += wrapped(paragraph)
+                paragraph = []
             block = set(here)
             if not block.isdisjoint(prefixes):
                 for t in parts:
                     if got := t.overlap(block):
                         found.append({"label": t.label, "base": False, "line": number, "first_word": first, "n": len(here), "share": got / len(t.sorted)})
             first += len(here)
-        return found
+        return found + wrapped(paragraph)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         keep = bytes(10 if b == 10 else WORDS[b] for b in range(256))

@@ -234,6 +234,15 @@ def test_licenses(spark):
     assert any(r.base_labels == "apache,gpl" for r in by.values())
 
 
+def test_wrapped_licenses(spark):
+    mit = "Permission is hereby granted, free of charge, to any person obtaining a copy\n# of this software and associated documentation files"
+    bsd = "Redistribution and use in source and binary forms, with or without\nmodification, are permitted provided that the following conditions\nare met:"
+    mpl = " * This Source Code Form is subject to the terms of the Mozilla Public\n * License, v. 2.0."
+    texts = [f"words before\n{mit} and more", bsd, mpl, None, mpl.replace("\n", "\n\n"), "all\nrights kept for long after that and\nreserved"]
+    by = {r.doc_id: r for r in licenses.summary(licenses.scan(docs(spark, texts))).collect()}
+    assert [by[k].labels for k in (0, 1, 2, 4, 5)] == ["mit", "bsd", "mpl", "", ""] and by[0].score == by[1].score == 1.0
+
+
 def test_shards(spark, texts):
     df = docs(spark, texts * 3)
     rows = sharding.shard(df).collect()
