@@ -172,6 +172,16 @@ def _lsh(t: Load) -> DataFrame:
     return scored.withColumn("r", F.row_number().over(W.partitionBy("q").orderBy(F.desc(F.round("s", 9)), "v"))).where("r <= 5").select("q", "v", F.round("s", 6).alias("score"))
 
 
-op("knn_embeddings", "SELECT label, round(avg(sqrt(list_sum(list_transform(embedding, lambda x: CAST(x AS DOUBLE) * x)))), 6) AS norm FROM embeddings GROUP BY 1")(lambda t: t("embeddings").groupBy("label").agg(F.round(F.avg(norm(C("embedding"))), 6).alias("norm")))
+op("agg_vector_norm", "SELECT label, round(avg(sqrt(list_sum(list_transform(embedding, lambda x: CAST(x AS DOUBLE) * x)))), 6) AS norm FROM embeddings GROUP BY 1")(lambda t: t("embeddings").groupBy("label").agg(F.round(F.avg(norm(C("embedding"))), 6).alias("norm")))
+
+
+@op("embedding_rank", "SELECT q, v, row_number() OVER (PARTITION BY q ORDER BY round(s, 9) DESC, v) AS rank FROM (SELECT a.vec_id AS q, b.vec_id AS v, coalesce(list_sum(list_transform(list_zip(a.embedding, b.embedding), lambda z: CAST(z[1] AS DOUBLE) * z[2])) / nullif(sqrt(list_sum(list_transform(a.embedding, lambda x: CAST(x AS DOUBLE) * x))) * sqrt(list_sum(list_transform(b.embedding, lambda x: CAST(x AS DOUBLE) * x))), 0), 0) AS s FROM embeddings a JOIN embeddings b ON a.vec_id % 100 = 0 AND a.vec_id <> b.vec_id)")
+def _embedding_rank(t: Load) -> DataFrame:
+    """The rank by cosine of every row for each vector of the stated query set."""
+    q = t("embeddings").where("vec_id % 100 = 0").select(C("vec_id").alias("q"), C("embedding").alias("a"))
+    pairs = t("embeddings").select(C("vec_id").alias("v"), C("embedding").alias("b")).join(F.broadcast(q), C("q") != C("v")).select("q", "v", cosine(C("a"), C("b")).alias("s"))
+    return pairs.select("q", "v", F.row_number().over(W.partitionBy("q").orderBy(F.desc(F.round("s", 9)), "v")).cast("long").alias("rank"))
+
+
 op("sample_md5", f"SELECT o_orderkey FROM orders WHERE {digest_sql('CAST(o_orderkey AS VARCHAR)')} % 10 = 3")(lambda t: t("orders").where(digest(C("o_orderkey").cast("string")) % 10 == 3).select("o_orderkey"))
 op("sample_stratified", None)(lambda t: t("labels").sampleBy("toxic", {0: 0.2, 1: 1.0}, seed=5))

@@ -203,3 +203,12 @@ def test_lsh_recall(spark):
         exact, found = ({(r.q, r.v): r.score for r in QUERIES[name](spark, f"/root/testdata/{sf}").collect()} for name in ("knn_exact", "knn_lsh"))
         same = exact.keys() & found.keys()
         assert len(same) >= 0.9 * len(exact) and all(exact[k] == found[k] for k in same)
+
+
+def test_embedding_rank_is_whole(spark, sf):
+    """Each query of the set ranks all other rows, and its first five are the exact nearest."""
+    assert "knn_embeddings" not in QUERIES
+    rows, n = QUERIES["embedding_rank"](spark, sf).collect(), spark.read.parquet(f"{sf}/embeddings.parquet").count()
+    per = {q: sorted(r["rank"] for r in rows if r.q == q) for q in {r.q for r in rows}}
+    assert per and all(ranks == list(range(1, n)) for ranks in per.values())
+    assert {(r.q, r.v) for r in rows if r["rank"] <= 5} == {(r.q, r.v) for r in QUERIES["knn_exact"](spark, sf).collect()}
