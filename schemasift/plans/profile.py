@@ -63,6 +63,15 @@ def _exact(spark: SparkSession, sf: str) -> DataFrame:
     return profile(spark, sf, ["region", "nation", "labels", "benchmark", "conversations", "pages"])
 
 
+_FACTS = [t for t in fx.TABLES if t not in ("region", "nation", "labels", "benchmark", "conversations", "pages")]
+
+
+@query("profile_exact_facts")
+def _exact_facts(spark: SparkSession, sf: str) -> DataFrame:
+    """The tables that profile_exact leaves out."""
+    return profile(spark, sf, _FACTS)
+
+
 @query("profile_approx")
 def _approx(spark: SparkSession, sf: str) -> DataFrame:
     return profile(spark, sf, fx.TABLES, exact=False)

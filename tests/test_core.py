@@ -212,3 +212,13 @@ def test_embedding_rank_is_whole(spark, sf):
     per = {q: sorted(r["rank"] for r in rows if r.q == q) for q in {r.q for r in rows}}
     assert per and all(ranks == list(range(1, n)) for ranks in per.values())
     assert {(r.q, r.v) for r in rows if r["rank"] <= 5} == {(r.q, r.v) for r in QUERIES["knn_exact"](spark, sf).collect()}
+
+
+def test_exact_profiles_cover_all_tables(spark, sf):
+    """Counts of every column of every table, against DuckDB."""
+    import duckdb
+
+    got = {(r.table_name, r.column_name): (r.n_rows, r.n_null, r.ndv) for name in ("profile_exact", "profile_exact_facts") for r in QUERIES[name](spark, sf).collect()}
+    assert {t for t, _ in got} == set(fx.TABLES)
+    for (t, c), counts in got.items():
+        assert counts == duckdb.sql(f"SELECT count(*), count(*) - count({c}), count(DISTINCT {c}) FROM '{sf}/{t}.parquet'").fetchone()
