@@ -221,4 +221,4 @@ def test_exact_profiles_cover_all_tables(spark, sf):
     got = {(r.table_name, r.column_name): (r.n_rows, r.n_null, r.ndv) for name in ("profile_exact", "profile_exact_facts") for r in QUERIES[name](spark, sf).collect()}
     assert {t for t, _ in got} == set(fx.TABLES)
     for (t, c), counts in got.items():
-        assert counts == duckdb.sql(f"SELECT count(*), count(*) - count({c}), count(DISTINCT {c}) FROM '{sf}/{t}.parquet'").fetchone()
+        assert counts == duckdb.sql(f"SELECT count(*), count(*) - count({c}), count(DISTINCT {c}) FROM '{sf}/{t}.parquet'").fetchall()[0]
