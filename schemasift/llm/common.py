@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import gc
+import re
 import tempfile
 import uuid
 from collections.abc import Iterator
@@ -22,9 +23,11 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder that all executors share; only where the cluster names none is one made here."""
+    """The folder that all executors share, as the session names it; only a local master, which is one machine, gets one made here."""
     path = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
     if not path:
+        if not re.fullmatch(r"local(\[[^\[]*\])?", spark.sparkContext.master):
+            raise RuntimeError("spark.checkpoint.dir names no folder that the executors share")
         path = "file://" + tempfile.mkdtemp(prefix="schemasift-")
         spark.sparkContext.setCheckpointDir(path)
     return path.rstrip("/")
@@ -46,6 +49,19 @@ def drop_durable(df: DataFrame) -> None:
         path.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(path, True)
 
 
+#: Names that ``numbered`` adds: the file of a row and its number there.
+PLACE = ("__place_file", "__place_row")
+
+
+def numbered(df: DataFrame) -> DataFrame:
+    """df with the place of every row, which tells apart even rows that are equal in all columns. What isn't a plain Parquet
+    table is written as one first, so that a place means the same row in every plan, whatever is lost and read again."""
+    plain = df._jdf.queryExecution().analyzed()
+    if plain.getClass().getSimpleName() != "LogicalRelation" or not all(f.endswith(".parquet") for f in df.inputFiles()) or "_metadata" in df.columns:
+        df = durable(df, "numbered")
+    return df.select("*", F.col("_metadata.file_path").alias(PLACE[0]), F.col("_metadata.row_index").alias(PLACE[1]))
+
+
 def release(spark: SparkSession) -> None:
     """Let Spark drop the shuffle files of plans that are done; else they stay until the driver collects its garbage."""
     gc.collect()
@@ -87,7 +103,7 @@ def by_row(values: np.ndarray, offsets: np.ndarray) -> np.ndarray:
     return total[offsets[1:]] - total[offsets[:-1]]
 
 
-def components(edges: DataFrame, name: str = "components", max_rounds: int = 60) -> DataFrame:
+def components(edges: DataFrame, name: str = "components") -> DataFrame:
     """(node, root) of every node that has a link; root is the least node of its component.
 
     Large-star and small-star rounds over the link table, each written to the shared folder. Both are
@@ -95,8 +111,9 @@ def components(edges: DataFrame, name: str = "components", max_rounds: int = 60)
     skew join.
     """
     links = durable(edges.select(F.greatest("a", "b").alias("u"), F.least("a", "b").alias("v")).where("u <> v").distinct(), name)
-    before = None
-    for _ in range(max_rounds):
+    before, now = None, 0
+    while now != before:
+        before = now
         # large star: every larger neighbour of u goes to the least of u and its neighbours
         both = links.union(links.select(F.col("v").alias("u"), F.col("u").alias("v")))
         least = both.groupBy("u").agg(F.least(F.min("v"), F.col("u")).alias("m"))
@@ -109,9 +126,4 @@ def components(edges: DataFrame, name: str = "components", max_rounds: int = 60)
         drop_durable(links), drop_durable(large)
         links = small
         now = links.agg(F.count(F.lit(1)), F.sum(F.xxhash64("u", "v").cast("decimal(38,0)"))).first()
-        if now == before:
-            break
-        before = now
-    else:
-        raise RuntimeError("components did not settle")
     return links.select(F.col("u").alias("node"), F.col("v").alias("root")).union(links.select(F.col("v").alias("node"), F.col("v").alias("root")).distinct())

@@ -1,27 +1,37 @@
 """Mixing sources to target weights with Pareto order sampling.
 
 Each source's target is its weight's share of all sizes, at most three times its own size, the excess shared again by weight.
-Every document gets the whole copies that are certain (the whole part of target / size of its source); what is left of the
-target is filled by documents in the order of random odds over inclusion odds, as far as their sizes sum up to it, and one
-last document whose size comes nearest to what is then still missing.
+A document's expected copies grow with the binary digits of its size: rate x digits, at most three, where a source's rate makes
+the expected words its target. It gets the whole part of them as certain copies; the rest is its inclusion probability. One
+more copy goes to the documents of least rank: random odds over inclusion odds. The sample's size is fixed in words: it is the
+head of that order that fits into what the certain copies leave of the target, and a closing document: the next in the order that
+brings the source within a hundredth of its target, or, where none does, the one that comes nearest.
 
-The random numbers are digests of the ids, so reruns agree. The order is cut in two steps: sums by (source, 4,096 steps of
-the order), then single rows in the one step where the target is met; no task holds a whole source.
+The random numbers are digests of the ids (of the texts, for rows without an id), so reruns agree. The place at which a source's
+order is cut is found level by level: 16,384 steps of the rank; in one of them the points, which are rank, text's digest and one
+of 4,096 parts of rows that are equal in both; at one of them the rows. Every level is a sum by its values in what the level before
+left, so no task holds a whole source or a whole group of equal rows. Sources are the stated classes of the mix; tables with rows by source are broadcast
+only where their measured size allows it.
 
-Cases: a null text has size 0; null is a source of its own, after all others; rows of one id are ordered by size and rank
-alike in every run; an empty table gives an empty result; a source without words has target 0; other columns are not read.
+Cases: a null text has size 0; null is a source of its own, after all others; repeated rows and rows without an id each
+have a rank of their own; an empty table gives an empty result; a source without words has target 0; other columns are not
+read, and passed on where asked for.
 """
 
 from __future__ import annotations
 
+from collections.abc import Sequence
+
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import durable
+from .common import PLACE, durable, numbered, small
 
 WORD = r"[^\x20\x09-\x0D]+"
-STEPS = 4096
+STEPS = 1 << 14
 LIMIT = 3
+#: Share of a target within which a source is full.
+NEAR = 0.01
 
 
 def targets(sizes: DataFrame) -> DataFrame:
@@ -37,70 +47,106 @@ def targets(sizes: DataFrame) -> DataFrame:
     return levelled.withColumn("common", common).select("source", "source_size", "weight", F.when(F.col("free"), F.col("common") * F.col("weight")).otherwise(full).alias("target"))
 
 
-def mix(df: DataFrame, key: str = "doc_id", text: str = "text", source: str = "source", seed: str = "mix") -> DataFrame:
-    """(key, size, source_size, target, taken, copies) of every row."""
-    u = (F.conv(F.substring(F.md5(F.concat(F.lit(f"{seed}|"), F.coalesce(F.col(key).cast("string"), F.lit("")))), 1, 13), 16, 10).cast("double") + 0.5) / float(1 << 52)
-    base = durable(df.select(F.col(key).alias("k"), F.col(source).alias("source"), F.coalesce(F.regexp_count(F.col(text), F.lit(WORD)), F.lit(0)).cast("long").alias("size"), u.alias("u")), "mix-base")
-    sizes = base.groupBy("source").agg(F.sum("size").alias("source_size"))
-    plan = durable(
-        targets(sizes)
-        .withColumn("certain", F.when(F.col("source_size") > 0, F.floor(F.col("target") / F.col("source_size"))).otherwise(F.lit(0)))
-        .withColumn("left", F.col("target") - F.col("certain") * F.col("source_size"))
-        .withColumn("inclusion", F.when(F.col("source_size") > 0, F.col("left") / F.col("source_size")).otherwise(F.lit(0.0)))
-        .withColumnRenamed("source", "s"),
-        "mix-plan",
-    )
-    odds = F.col("inclusion") / (1 - F.col("inclusion"))
-    ranked = base.join(F.broadcast(plan), F.col("source").eqNullSafe(F.col("s"))).withColumn("q", F.when(F.col("inclusion") > 0, (F.col("u") / (1 - F.col("u"))) / odds))
-    ranked = ranked.withColumn("step", F.least(F.floor(F.col("u") * STEPS), F.lit(STEPS - 1)).cast("int"))
-    sums = ranked.groupBy("s", "step", "left").agg(F.sum("size").alias("words"))
-    upto = F.sum("words").over(Window.partitionBy("s").orderBy("step"))
-    steps = sums.withColumn("upto", upto).select(F.col("s").alias("s2"), F.col("step").alias("step2"), (F.col("upto") - F.col("words")).alias("start"), (F.col("upto") <= F.col("left")).alias("whole"), ((F.col("upto") - F.col("words")) > F.col("left")).alias("none"))
-    met = steps.where("NOT whole AND NOT none").groupBy("s2").agg(F.min("step2").alias("step2"), F.min_by("start", "step2").alias("start"))  # a row per source at most
-    edge = ranked.join(F.broadcast(met), F.col("s").eqNullSafe(F.col("s2")), "left")
-    # rows before the step in which the target is met are in, those after it are out; inside, the running sum decides
-    rows_in = edge.where(F.col("step") == F.col("step2"))
-    running = F.sum("size").over(Window.partitionBy("s").orderBy("q", "u", "k", "size").rowsBetween(Window.unboundedPreceding, 0)) + F.col("start")
-    cols = ["k", "s", "u", "size", "source_size", "target", "certain", "left", "q"]
-    inside = rows_in.withColumn("chosen", running <= F.col("left")).select(*cols, "chosen")
-    outside = edge.where("step2 IS NULL OR step <> step2").withColumn("chosen", (F.col("left") > 0) & (F.col("step2").isNull() | (F.col("step") < F.col("step2")))).select(*cols, "chosen")
-    chosen = inside.union(outside)
-    got = chosen.groupBy("s").agg(F.sum(F.when(F.col("chosen"), F.col("size")).otherwise(0)).alias("got")).withColumnRenamed("s", "s3")  # a row per source
-    short = chosen.join(F.broadcast(got), F.col("s").eqNullSafe(F.col("s3"))).withColumn("missing", F.col("left") - F.col("got"))
-    near = F.abs(F.col("size") - F.col("missing"))
-    last = short.where(~F.col("chosen") & (near < F.col("missing"))).groupBy("s").agg(F.min_by(F.struct("k", "u", "size"), F.struct(near, F.col("u"), F.col("k"), F.col("size"))).alias("last")).withColumnRenamed("s", "s4")
-    same = F.col("k").eqNullSafe(F.col("last.k")) & (F.col("u") == F.col("last.u")) & (F.col("size") == F.col("last.size"))
-    done = chosen.join(F.broadcast(last), F.col("s").eqNullSafe(F.col("s4")), "left").withColumn("copies", (F.col("certain") + (F.col("chosen") | F.coalesce(same, F.lit(False))).cast("int")).cast("int"))
-    return done.select(F.col("k").alias(key), "size", "source_size", "target", (F.col("copies") * F.col("size")).cast("long").alias("taken"), "copies")
+def plan_of(classes: DataFrame) -> DataFrame:
+    """(s, d, source_size, target, certain, inclusion, left) of each class; classes: (source, digits, words)."""
+    aims = targets(classes.groupBy("source").agg(F.sum("words").alias("source_size"))).withColumnRenamed("source", "s")
+    largest = Window.partitionBy("s").orderBy(F.desc("digits"))
+    held = F.coalesce(F.sum("words").over(largest.rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
+    weighted = F.sum(F.col("words") * F.col("digits")).over(largest.rowsBetween(0, Window.unboundedFollowing))
+    rated = classes.join(aims, F.col("source").eqNullSafe(F.col("s"))).withColumn("held", held).withColumn("weighted", weighted)
+    rated = rated.withColumn("rate", F.when(F.col("weighted") > 0, (F.col("target") - float(LIMIT) * F.col("held")) / F.col("weighted")))
+    rate = F.first(F.when(F.col("rate") * F.col("digits") <= LIMIT, F.col("rate")), ignorenulls=True).over(largest.rowsBetween(Window.unboundedPreceding, Window.unboundedFollowing))
+    expected = F.when(F.col("source_size") == 0, F.lit(0.0)).otherwise(F.least(F.lit(float(LIMIT)), F.coalesce(F.col("common") * F.col("digits"), F.lit(float(LIMIT)))))
+    planned = rated.withColumn("common", rate).withColumn("expected", expected).withColumn("certain", F.floor("expected"))
+    left = F.col("target") - F.sum(F.col("certain") * F.col("words")).over(Window.partitionBy("s"))
+    return planned.select("s", F.col("digits").alias("d"), "source_size", "target", "certain", (F.col("expected") - F.col("certain")).alias("inclusion"), left.alias("left"))
+
+
+def cuts(ranked: DataFrame) -> DataFrame:
+    """(s, the first row that doesn't fit: point, place; the words that are missing before it) of each source whose order is cut."""
+    rows, cut = ranked.where("inclusion > 0 AND left > 0").withColumn("start", F.lit(0).cast("long")), None
+    for level, before in (("step", None), ("point", "step"), ("place", "point")):
+        own = rows
+        if before:
+            own = rows.drop("start").join(small(cut, 400), F.col("s").eqNullSafe(F.col("s0")) & (F.col(before) == F.col(f"{before}0")))
+        kept = [f"{before}0"] if before == "point" else []
+        sums = own.groupBy("s", "left", "start", *kept, level).agg(F.sum("size").alias("words"))
+        sums = sums.withColumn("upto", F.col("start") + F.sum("words").over(Window.partitionBy("s").orderBy(level)))
+        found = F.struct(*kept, F.col(level).alias(f"{level}0"), "left", (F.col("upto") - F.col("words")).alias("start"))
+        first = sums.where("upto > left").groupBy("s").agg(F.min_by(found, level).alias("f"))
+        cut = durable(first.select(F.col("s").alias("s0"), *(f"f.{c}" for c in (*kept, f"{level}0", "start")), F.col("f.left").alias("left0")), "mix-cut")
+    return cut.select("s0", F.struct(F.col("point0").alias("point"), F.col("place0").alias("place")).alias("last"), (F.col("left0") - F.col("start")).alias("missing"))
+
+
+def closing(headed: DataFrame) -> DataFrame:
+    """(s, row) of the document that closes each source whose head leaves too much missing."""
+    off = F.abs(F.col("size") - F.col("missing"))
+    beyond = F.greatest(off - NEAR * F.col("target"), F.lit(0.0))
+    open_ = headed.where("inclusion > 0 AND last IS NOT NULL AND NOT head").where((F.col("missing") > NEAR * F.col("target")) & (off < F.col("missing")))
+    return open_.groupBy(F.col("s").alias("s1")).agg(F.min_by("row", F.struct(beyond, F.col("row"))).alias("closes"))
+
+
+def mix(df: DataFrame, key: str = "doc_id", text: str = "text", source: str = "source", seed: str = "mix", keep: Sequence[str] = ()) -> DataFrame:
+    """(key, size, source_size, target, taken, copies) of every row, and its columns ``keep``."""
+    digest = F.md5(F.coalesce(F.col(text), F.lit("")))
+    named = F.coalesce(F.col(key).cast("string"), F.concat(F.lit("~"), digest))
+    u = (F.conv(F.substring(F.md5(F.concat(F.lit(f"{seed}|"), named)), 1, 13), 16, 10).cast("double") + 0.5) / float(1 << 52)
+    size = F.coalesce(F.regexp_count(F.col(text), F.lit(WORD)), F.lit(0)).cast("long")
+    base = df.select(F.col(key).alias("k"), F.col(source).alias("source"), size.alias("size"), u.alias("u"), digest.alias("digest"), *(F.col(c).alias(f"keep{i}") for i, c in enumerate(keep)))
+    base = durable(base.withColumn("digits", F.length(F.bin("size"))), "mix-base")
+    classes = durable(base.groupBy("source", "digits").agg(F.sum("size").alias("words")), "mix-classes")  # some 20 rows a source
+    plan = small(durable(plan_of(classes), "mix-plan"), 100)
+    spot = F.xxhash64(*PLACE)
+    q = (F.col("u") / (1 - F.col("u"))) / (F.col("inclusion") / (1 - F.col("inclusion")))
+    ranked = numbered(base).join(plan, F.col("source").eqNullSafe(F.col("s")) & (F.col("digits") == F.col("d"))).withColumn("q", F.when(F.col("inclusion") > 0, q))
+    ranked = ranked.withColumns({"step": F.floor(F.col("q") / (1 + F.col("q")) * STEPS), "point": F.struct("q", "digest", F.pmod(spot, F.lit(4096)).alias("sub")), "place": F.struct(spot.alias("spot"), *PLACE)})
+    cut = small(durable(cuts(ranked), "mix-cuts"), 400)
+    headed = ranked.join(cut, F.col("s").eqNullSafe(F.col("s0")), "left").withColumn("row", F.struct("point", "place"))
+    headed = headed.withColumn("head", (F.col("inclusion") > 0) & (F.col("left") > 0) & (F.col("last").isNull() | (F.col("row") < F.col("last"))))
+    last = small(durable(closing(headed), "mix-closing"), 400)
+    chosen = F.col("head") | F.coalesce(F.col("row") == F.col("closes"), F.lit(False))
+    done = headed.join(last, F.col("s").eqNullSafe(F.col("s1")), "left").withColumn("copies", (F.col("certain") + chosen.cast("int")).cast("int"))
+    return done.select(F.col("k").alias(key), "size", "source_size", "target", (F.col("copies") * F.col("size")).cast("long").alias("taken"), "copies", *(F.col(f"keep{i}").alias(c) for i, c in enumerate(keep)))
 
 
 def oracle_sql(table: str = "documents", seed: str = "mix") -> str:
     return f"""
 WITH base AS (
-  SELECT doc_id AS k, source, coalesce(length(text) - length(text), 0) + coalesce(len(regexp_extract_all(text, '[^\\x20\\x09-\\x0D]+')), 0) AS size,
-         (CAST(CAST('0x' || substr(md5('{seed}|' || coalesce(CAST(doc_id AS VARCHAR), '')), 1, 13) AS BIGINT) AS DOUBLE) + 0.5) / 4503599627370496.0 AS u
+  SELECT doc_id AS k, source, coalesce(len(regexp_extract_all(text, '[^\\x20\\x09-\\x0D]+')), 0) AS size, md5(coalesce(text, '')) AS digest,
+         (CAST(CAST('0x' || substr(md5('{seed}|' || coalesce(CAST(doc_id AS VARCHAR), '~' || md5(coalesce(text, '')))), 1, 13) AS BIGINT) AS DOUBLE) + 0.5) / 4503599627370496.0 AS u
   FROM {table}),
-sizes AS (SELECT source, CAST(sum(size) AS BIGINT) AS source_size FROM base GROUP BY source),
+classes AS (SELECT source, length(bin(CAST(size AS BIGINT))) AS digits, CAST(sum(size) AS BIGINT) AS words FROM base GROUP BY ALL),
+sizes AS (SELECT source, CAST(sum(words) AS BIGINT) AS source_size FROM classes GROUP BY source),
 weighed AS (SELECT *, CAST((row_number() OVER (ORDER BY source NULLS LAST) - 1) % 3 + 1 AS DOUBLE) AS weight FROM sizes),
 levelled AS (
   SELECT *, 3.0 * source_size / weight AS need,
          (sum(CAST(source_size AS DOUBLE)) OVER () - coalesce(sum(3.0 * source_size) OVER (ORDER BY 3.0 * source_size / weight, source NULLS LAST ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0.0))
          / sum(weight) OVER (ORDER BY 3.0 * source_size / weight, source NULLS LAST ROWS BETWEEN CURRENT ROW AND UNBOUNDED FOLLOWING) AS level FROM weighed),
 common AS (SELECT arg_min(level, need) FILTER (WHERE need >= level) AS common FROM levelled),
-plan AS (
-  SELECT source AS s, source_size, weight, CASE WHEN need >= level THEN common * weight ELSE 3.0 * source_size END AS target FROM levelled, common),
+aims AS (SELECT source AS s, source_size, CASE WHEN need >= level THEN common * weight ELSE 3.0 * source_size END AS target FROM levelled, common),
+held AS (
+  SELECT c.*, a.*, coalesce(sum(words) OVER (PARTITION BY s ORDER BY digits DESC ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) AS held,
+         sum(words * digits) OVER (PARTITION BY s ORDER BY digits DESC ROWS BETWEEN CURRENT ROW AND UNBOUNDED FOLLOWING) AS weighted
+  FROM classes c JOIN aims a ON c.source IS NOT DISTINCT FROM a.s),
+rated AS (SELECT *, CASE WHEN weighted > 0 THEN (target - 3.0::DOUBLE * CAST(held AS DOUBLE)) / CAST(weighted AS DOUBLE) END AS rate FROM held),
+rates AS (SELECT s AS rs, arg_max(rate, digits) AS one FROM rated WHERE rate * digits <= 3 GROUP BY s),
+expected AS (
+  SELECT r.*, CASE WHEN source_size = 0 THEN 0.0::DOUBLE ELSE least(3.0::DOUBLE, coalesce(one * digits, 3.0::DOUBLE)) END AS expected
+  FROM rated r LEFT JOIN rates ON r.s IS NOT DISTINCT FROM rs),
 planned AS (
-  SELECT *, CASE WHEN source_size > 0 THEN CAST(floor(target / source_size) AS BIGINT) ELSE 0 END AS certain FROM plan),
+  SELECT s, digits AS d, source_size, target, CAST(floor(expected) AS BIGINT) AS certain, expected - floor(expected) AS inclusion,
+         target - CAST(sum(floor(expected) * words) OVER (PARTITION BY s) AS DOUBLE) AS rest FROM expected),
 ranked AS (
-  SELECT b.*, p.source_size, p.target, p.certain, p.target - p.certain * p.source_size AS rest,
-         sum(b.size) OVER (PARTITION BY p.s ORDER BY b.u, b.k, b.size ROWS UNBOUNDED PRECEDING) AS running
-  FROM base b JOIN planned p ON b.source IS NOT DISTINCT FROM p.s),
-chosen AS (SELECT *, rest > 0 AND running <= rest AS chosen FROM ranked),
-got AS (SELECT source AS s3, sum(CASE WHEN chosen THEN size ELSE 0 END) AS got FROM chosen GROUP BY source),
-short AS (SELECT c.*, c.rest - g.got AS missing FROM chosen c JOIN got g ON c.source IS NOT DISTINCT FROM g.s3),
-last AS (
-  SELECT source AS s4, k AS lk FROM short WHERE NOT chosen AND abs(size - missing) < missing
-  QUALIFY row_number() OVER (PARTITION BY source ORDER BY abs(size - missing), u, k) = 1)
-SELECT k AS doc_id, size, source_size, target, CAST((certain + CASE WHEN chosen OR lk IS NOT NULL THEN 1 ELSE 0 END) * size AS BIGINT) AS taken,
-       CAST(certain + CASE WHEN chosen OR lk IS NOT NULL THEN 1 ELSE 0 END AS INTEGER) AS copies
-FROM short c LEFT JOIN last l ON c.source IS NOT DISTINCT FROM l.s4 AND c.k = l.lk"""
+  SELECT b.*, p.*, CASE WHEN inclusion > 0 THEN (u / (1 - u)) / (inclusion / (1 - inclusion)) END AS q
+  FROM base b JOIN planned p ON b.source IS NOT DISTINCT FROM p.s AND length(bin(CAST(b.size AS BIGINT))) = p.d),
+running AS (SELECT *, sum(CASE WHEN q IS NOT NULL THEN size ELSE 0 END) OVER (PARTITION BY s ORDER BY q NULLS LAST, digest, k ROWS UNBOUNDED PRECEDING) AS upto FROM ranked),
+headed AS (SELECT *, q IS NOT NULL AND rest > 0 AND upto <= rest AS head FROM running),
+short AS (SELECT s AS hs, max(rest) - sum(CASE WHEN head THEN size ELSE 0 END) AS missing FROM headed GROUP BY s),
+closing AS (
+  SELECT s AS cs, k AS ck FROM headed JOIN short ON s IS NOT DISTINCT FROM hs
+  WHERE q IS NOT NULL AND rest > 0 AND NOT head AND missing > {NEAR}::DOUBLE * target AND abs(size - missing) < missing
+  QUALIFY row_number() OVER (PARTITION BY s ORDER BY greatest(abs(size - missing) - {NEAR}::DOUBLE * target, 0.0::DOUBLE), q, digest, k) = 1),
+chosen AS (SELECT h.*, head OR ck IS NOT NULL AS chosen FROM headed h LEFT JOIN closing ON s IS NOT DISTINCT FROM cs AND k = ck)
+SELECT k AS doc_id, size, source_size, target, CAST((certain + CASE WHEN chosen THEN 1 ELSE 0 END) * size AS BIGINT) AS taken,
+       CAST(certain + CASE WHEN chosen THEN 1 ELSE 0 END AS INTEGER) AS copies
+FROM chosen"""

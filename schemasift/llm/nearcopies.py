@@ -1,14 +1,17 @@
-"""Near copies by the exact Jaccard similarity of word shingles.
+"""Near copies: the SimHash operator's links, completed to all links of an exact Jaccard similarity of word shingles.
 
-Candidates come from bands of MinHashes: two texts meet if all hashes of any band agree. The bands are so many that a pair at
-the threshold itself fails to meet with a probability of 4e-12; whoever meets is compared by the complete shingle sets, so
-what is below the threshold is never linked. Texts with equal sets are one node and need no comparison.
+SimHash fingerprints within two bits are found by multi-index hashing (``simhash``); each such link is confirmed by the complete
+shingle sets. Texts at a similarity of 0.8 differ in ten of 64 bits, too many for small Hamming balls, so the links that
+fingerprints can't show come from bands of MinHashes: two texts meet if all hashes of any band agree. The bands are
+so many that a pair at the threshold itself fails to meet with a probability of 4e-12; whoever meets and isn't joined yet is
+compared by the complete sets, so what is below the threshold is never linked. Texts with equal sets are one node.
 
-Entries travel in packed blocks to the partition of their value, which returns the pairs of its small groups. Groups beyond
-that are resolved in rounds: some members are compared with all others that they are not joined with yet, and leave.
+Groups of equal bands are resolved in rounds: some members (pivots) are compared with all others that they are not
+joined with, and leave. All of it is aggregates and joins, so no task holds a group, and hot ones split in AQE's skew join.
 
-Cases: null texts count as empty; texts without words have equal (empty) sets; repeated rows share a node; null ids belong to
-components and never name one; long texts are read whole; an empty table gives an empty result.
+Cases: null texts count as empty; texts without words have equal (empty) sets; of repeated rows one stays; rows without an id
+always stay and never replace another; one id may stand on several texts; long texts are read whole; an empty table gives an
+empty result; other columns are passed on as they are.
 """
 
 from __future__ import annotations
@@ -21,14 +24,15 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import components, drop_durable, durable, release, slices, small
-from .hashing import mix, shingles
+from . import simhash
+from .common import PLACE, components, drop_durable, durable, numbered, release, slices, small
+from .hashing import bit_votes, mix, shingles
 
 U = np.uint64
 #: MinHashes of a band, and bands: at similarity 0.8 a pair meets in none with (1 - 0.8 ** 4) ** 50.
 ROWS, BANDS = 4, 50
-#: Entries that one partition gets on average; members of a value up to which all pairs are listed at once, and pivots of the first round beyond.
-PART_ENTRIES, LISTED = 1_000_000, 64
+#: Pivots of the second round (the first has one); each round after it has four times more.
+LISTED = 4
 TURN = mix(np.arange(ROWS * BANDS, dtype=np.uint64), 31) | U(1)
 SHIFT = mix(np.arange(ROWS * BANDS, dtype=np.uint64), 32)
 
@@ -40,144 +44,134 @@ def bands(h: np.ndarray, n: np.ndarray) -> np.ndarray:
     for k in range(ROWS * BANDS):
         least = np.minimum.reduceat(h * TURN[k] + SHIFT[k], begin)
         out[:, k // ROWS] = mix(out[:, k // ROWS] ^ least, k)
-    return out
+    return mix(out + np.arange(BANDS, dtype=np.uint64), 7)
 
 
-def shingle_sets(df: DataFrame, shingle: int, key: str, text: str) -> DataFrame:
-    """(key, node, n, bands, shingles): the sorted set of shingles, its size, its number, and its bands (none for an empty set)."""
+def distinct_shingles(data: np.ndarray, at: np.ndarray, shingle: int) -> tuple[np.ndarray, np.ndarray]:
+    """(sorted distinct shingles of each text, how many each has)."""
+    h, n = shingles(data, at, shingle)
+    own = np.repeat(np.arange(len(n)), n)
+    order = np.lexsort((h, own))
+    h, own = h[order], own[order]
+    new = np.ones(len(h), bool)
+    new[1:] = (h[1:] != h[:-1]) | (own[1:] != own[:-1])
+    return h[new], np.bincount(own[new], minlength=len(n))
+
+
+def lists(values: np.ndarray, n: np.ndarray) -> pa.ListArray:
+    return pa.ListArray.from_arrays(pa.array(np.concatenate(([0], np.cumsum(n))), pa.int32()), pa.array(values.view(np.int64)))
+
+
+def marks(df: DataFrame, shingle: int, key: str, text: str) -> DataFrame:
+    """(id, place, node, fp, bands): the number of the shingle set (0 if empty), its SimHash and its bands (none if empty)."""
     kind = dict(df.dtypes)[key]
+    names = ["id", *PLACE, "node", "fp", "bands"]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            node, size, band, sets = [], [], [], []
-            for _, _, data, at in slices(batch.column(1)):
-                h, n = shingles(data, at, shingle)
-                own = np.repeat(np.arange(len(n)), n)
-                order = np.lexsort((h, own))
-                h, own = h[order], own[order]
-                new = np.ones(len(h), bool)
-                new[1:] = (h[1:] != h[:-1]) | (own[1:] != own[:-1])
-                h, n = h[new], np.bincount(own[new], minlength=len(n))
-                some, end = np.flatnonzero(n), np.cumsum(n)
-                number, rows = np.zeros(len(n), np.uint64), [b""] * len(n)
+            for lo, hi, data, at in slices(batch.column(3)):
+                h, n = distinct_shingles(data, at, shingle)
+                some = np.flatnonzero(n)
+                node, band, held = np.zeros(len(n), U), np.zeros(0, U), np.where(n > 0, BANDS, 0)
                 if len(some):
-                    begin = (end - n)[some]
-                    number[some] = mix(np.add.reduceat(mix(h, 3), begin) ^ mix(np.bitwise_xor.reduceat(mix(h, 4), begin), 5), 6)
-                    for i, r in zip(some.tolist(), bands(h, n[some]), strict=True):
-                        rows[i] = r.tobytes()
-                node.append(number.view(np.int64))
-                size.append(n)
-                band += rows
-                sets += [h[e - k : e].tobytes() for e, k in zip(end.tolist(), n.tolist(), strict=True)]
-            whole = [pa.array(np.concatenate(x).astype(np.int64) if x else [], pa.int64()) for x in (node, size)]
-            yield pa.RecordBatch.from_arrays([batch.column(0), *whole, pa.array(band, pa.binary()), pa.array(sets, pa.binary())], [key, "node", "n", "bands", "shingles"])
-
-    return df.select(F.col(key), F.col(text)).mapInArrow(run, f"`{key}` {kind}, node long, n long, bands binary, shingles binary")
-
-
-def meetings(distinct: DataFrame, share: Fraction, listed: int) -> DataFrame:
-    """(number, a, b): the pairs of small groups of equal values whose sizes allow the similarity, with number null; members a of
-    larger groups, with b null. distinct: (node, n, bands)."""
-    parts = max(-(-distinct.count() * BANDS // PART_ENTRIES), distinct.sparkSession.sparkContext.defaultParallelism)
-    up, down = share.numerator, share.denominator
-
-    def pack(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in (b.slice(i, 16384) for b in batches for i in range(0, b.num_rows, 16384)):
-            node, n = (np.array(batch.column(k).to_numpy(zero_copy_only=False), np.int64) for k in range(2))
-            some = np.flatnonzero(n)
-            if not len(some):
-                continue
-            value = np.frombuffer(b"".join(batch.column(2).to_pylist()), np.uint64).reshape(-1, BANDS)
-            number = mix(value + np.arange(BANDS, dtype=np.uint64)[None], 7).ravel()
-            row = np.repeat(some, BANDS)
-            part = (number % U(parts)).astype(np.int64)
-            order = np.argsort(part, kind="stable")
-            cut = np.searchsorted(part[order], np.arange(parts + 1))
-            out = []
-            for p in np.flatnonzero(np.diff(cut)):
-                at = order[cut[p] : cut[p + 1]]
-                out.append((int(p), number[at].tobytes(), node[row[at]].tobytes(), n[row[at]].tobytes()))
-            cols = list(zip(*out, strict=True))
-            yield pa.RecordBatch.from_arrays([pa.array(cols[0], pa.int32()), *(pa.array(c, pa.binary()) for c in cols[1:])], ["part", "number", "node", "n"])
-
-    def meet(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        got: list[list[bytes]] = [[], [], []]
-        for batch in batches:
-            for k in range(3):
-                got[k] += batch.column(k + 1).to_pylist()
-        number, node, n = (np.frombuffer(b"".join(x), kind) for x, kind in zip(got, (np.uint64, np.int64, np.int64), strict=True))
-        order = np.lexsort((node, number))
-        number, node, n = number[order], node[order], n[order]
-        begin = np.flatnonzero(np.concatenate((np.ones(min(1, len(number)), bool), number[1:] != number[:-1])))
-        size = np.diff(np.concatenate((begin, [len(number)])))
-        pairs = []
-        for m in np.unique(size[(size > 1) & (size <= listed)]):
-            i, j = np.triu_indices(int(m), 1)
-            at = begin[size == m]
-            for some in np.array_split(at, max(1, len(at) * len(i) >> 20)):
-                x, y = (some[:, None] + i[None]).ravel(), (some[:, None] + j[None]).ravel()
-                right = np.minimum(n[x], n[y]) * down >= np.maximum(n[x], n[y]) * up
-                pairs.append(np.unique(np.stack((node[x[right]], node[y[right]]), 1), axis=0))
-        a, b = np.unique(np.concatenate(pairs), axis=0).T if pairs else np.zeros((2, 0), np.int64)
-        for lo in range(0, len(a), 1 << 18):
-            x = pa.array(a[lo : lo + (1 << 18)])
-            yield pa.RecordBatch.from_arrays([pa.nulls(len(x), pa.int64()), x, pa.array(b[lo : lo + (1 << 18)])], ["number", "a", "b"])
-        large = np.flatnonzero(np.repeat(size > listed, size))
-        for lo in range(0, len(large), 1 << 18):
-            at = large[lo : lo + (1 << 18)]
-            yield pa.RecordBatch.from_arrays([pa.array(number[at].view(np.int64)), pa.array(node[at]), pa.nulls(len(at), pa.int64())], ["number", "a", "b"])
-
-    packed = distinct.select("node", "n", "bands").mapInArrow(pack, "part int, number binary, node binary, n binary")
-    return packed.repartition(parts, "part").mapInArrow(meet, "number long, a long, b long")
-
-
-def confirmed(pairs: DataFrame, every: DataFrame, share: Fraction) -> DataFrame:
-    """(a, b) of the pairs (a written table) whose sets have the similarity."""
-    up, down = share.numerator, share.denominator
+                    begin = (np.cumsum(n) - n)[some]
+                    node[some] = mix(np.add.reduceat(mix(h, 3), begin) ^ mix(np.bitwise_xor.reduceat(mix(h, 4), begin), 5), 6)
+                    band = bands(h, n[some]).ravel()
+                fp = np.packbits(2 * bit_votes(h, n) > n[:, None], axis=1, bitorder="little")
+                own = [batch.column(k).slice(lo, hi - lo) for k in range(3)]
+                yield pa.RecordBatch.from_arrays([*own, pa.array(node.view(np.int64)), pa.array([x.tobytes() for x in fp], pa.binary()), lists(band, held)], names)
+
+    return df.select(F.col(key), *PLACE, F.col(text)).mapInArrow(run, f"id {kind}, {PLACE[0]} string, {PLACE[1]} long, node long, fp binary, bands array<long>")
+
+
+def shingle_sets(df: DataFrame, shingle: int, text: str) -> DataFrame:
+    """(node, s): the set of each row; df has its node."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            keep = []
-            for x, y in zip(batch.column(2), batch.column(3), strict=True):
-                x, y = np.frombuffer(x.as_buffer(), np.uint64), np.frombuffer(y.as_buffer(), np.uint64)
-                same = int((y[np.minimum(np.searchsorted(y, x), len(y) - 1)] == x).sum())
-                keep.append(same * down >= (len(x) + len(y) - same) * up)
-            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1)], ["a", "b"]).filter(pa.array(keep, pa.bool_()))
-
-    wanted = durable(pairs.select(F.col("a").alias("w")).union(pairs.select("b")).distinct(), "near-wanted")
-    sets = durable(every.join(small(wanted, 16), F.col("node") == F.col("w"), "left_semi").groupBy("node").agg(F.first("shingles").alias("s")), "near-sets")
-    first, second = sets.select(F.col("node").alias("a"), F.col("s").alias("x")), sets.select(F.col("node").alias("b"), F.col("s").alias("y"))
-    found = durable(pairs.select("a", "b").join(first, "a").join(second, "b").select("a", "b", "x", "y").mapInArrow(run, "a long, b long"), "near-links")
-    drop_durable(wanted), drop_durable(sets)
-    return found
-
-
-def links(distinct: DataFrame, every: DataFrame, share: Fraction, listed: int = LISTED) -> DataFrame:
-    """(a, b): links of the similarity that join the same nodes as all of them."""
-    met = durable(meetings(distinct, share, listed), "near-met")
-    found = confirmed(durable(met.where("b is not null").select("a", "b").distinct(), "near-pairs"), every, share)
-    left, pivots = met.where("b is null").select("number", F.col("a").alias("node")), listed
-    while not left.isEmpty():
-        roots = components(found, "near-roots").select(F.col("node").alias("m"), "root")
+            for lo, hi, data, at in slices(batch.column(1)):
+                yield pa.RecordBatch.from_arrays([batch.column(0).slice(lo, hi - lo), lists(*distinct_shingles(data, at, shingle))], ["node", "s"])
+
+    return df.select("node", F.col(text)).mapInArrow(run, "node long, s array<long>")
+
+
+class Confirmed:
+    """Compares pairs of nodes by their sets, which are made from the texts of one row of each node that is asked for."""
+
+    def __init__(self, docs: DataFrame, distinct: DataFrame, share: Fraction, shingle: int, text: str):
+        self.docs, self.share, self.shingle, self.text = docs, share, shingle, text
+        self.first = distinct.select("node", *(F.col(f"first.{c}").alias(f"f{c}") for c in PLACE))
+
+    def __call__(self, pairs: DataFrame) -> DataFrame:
+        """(a, b) of the pairs (a written table) that have the similarity: same / (x + y - same) >= share."""
+        wanted = durable(self.first.join(pairs.select(F.col("a").alias("node")).union(pairs.select("b")).distinct(), "node", "left_semi"), "near-wanted")
+        rows = self.docs.join(small(wanted, 300), (F.col(PLACE[0]) == F.col(f"f{PLACE[0]}")) & (F.col(PLACE[1]) == F.col(f"f{PLACE[1]}")))
+        sets = durable(shingle_sets(rows, self.shingle, self.text), "near-sets")
+        one, two = sets.select(F.col("node").alias("a"), F.col("s").alias("x")), sets.select(F.col("node").alias("b"), F.col("s").alias("y"))
+        up, down = self.share.numerator, self.share.denominator
+        met = pairs.select("a", "b").join(one, "a").join(two, "b")
+        found = durable(met.where(F.size(F.array_intersect("x", "y")) * (up + down) >= (F.size("x") + F.size("y")) * up).select("a", "b"), "near-links")
+        drop_durable(wanted), drop_durable(sets)
+        return found
+
+
+def rooted(pairs: DataFrame, roots: DataFrame) -> DataFrame:
+    """The pairs whose members have different roots."""
+    for c in "ab":
+        pairs = pairs.join(roots.select(F.col("node").alias(f"n{c}"), F.col("root").alias(f"r{c}")), F.col(c) == F.col(f"n{c}"), "left")
+    return pairs.where(F.coalesce("ra", "a") != F.coalesce("rb", "b")).select("a", "b")
+
+
+def links(distinct: DataFrame, confirmed: Confirmed, listed: int = LISTED) -> DataFrame:
+    """(a, b): links of the similarity that join the same nodes as all of them. distinct: (node, fp, bands, first)."""
+    by_bits = simhash.links(distinct.select("node", "fp", F.lit(b"").alias("weak")), simhash.FIVE)
+    found = confirmed(durable(by_bits.select("a", "b"), "near-pairs"))
+    entries = distinct.select("node", F.explode("bands").alias("number"))
+    # groups of two nodes or more, as an aggregate that is combined in the tasks first
+    shared = entries.groupBy("number").agg(F.min("node").alias("p"), F.max("node").alias("top")).where("p < top").select("number", "p")
+    left = durable(entries.join(shared, "number"), "near-left")
+    pairs, pivots = left.where("node <> p").select(F.col("p").alias("a"), F.col("node").alias("b")).distinct(), listed
+    left = left.where("node <> p").select("number", "node")
+    while True:
+        roots = components(found, "near-roots")
+        pairs = durable(rooted(pairs, roots), "near-pairs")
+        found = durable(found.union(confirmed(pairs)), "near-links")
+        roots = components(found, "near-roots").withColumnRenamed("node", "m")
         now = durable(left.join(roots, F.col("node") == F.col("m"), "left").select("number", "node", F.coalesce("root", "node").alias("root")), "near-left")
         apart = now.groupBy("number").agg(F.min("root").alias("lo"), F.max("root").alias("hi")).where("lo < hi").select("number")
-        now = durable(now.join(apart, "number").withColumn("r", F.row_number().over(Window.partitionBy("number").orderBy("node"))), "near-left")
-        pivot = now.where(F.col("r") <= pivots).select("number", F.col("node").alias("p"), F.col("root").alias("q"), F.col("r").alias("k"))
-        pairs = now.join(pivot, "number").where((F.col("root") != F.col("q")) & (F.col("r") > F.col("k")))
-        pairs = durable(pairs.select(F.least("node", "p").alias("a"), F.greatest("node", "p").alias("b")).distinct(), "near-pairs")
-        found = durable(found.union(confirmed(pairs, every, share)), "near-links")
-        left, pivots = now.where(F.col("r") > pivots).select("number", "node"), pivots * 4
-    return found
+        now = durable(now.join(apart, "number"), "near-left")
+        if now.isEmpty():
+            return found
+        now = durable(pivoted(now, pivots), "near-left")
+        pivot = now.where("k IS NOT NULL").select("number", F.col("node").alias("p"), F.col("root").alias("q"), F.col("k").alias("pk"))
+        met = now.join(pivot, "number").where((F.col("root") != F.col("q")) & (F.col("k").isNull() | (F.col("k") > F.col("pk"))))
+        pairs = met.select(F.least("node", "p").alias("a"), F.greatest("node", "p").alias("b")).distinct()
+        left, pivots = now.where("k IS NULL").select("number", "node"), pivots * 4
+
+
+def pivoted(now: DataFrame, pivots: int) -> DataFrame:
+    """now with k, the place of a pivot in its group or null: so many members of a group with the least nodes, found by
+    salted top lists, so no task sorts a whole group."""
+    salted = now.select("number", "node", F.pmod(F.xxhash64("node"), F.lit(64)).alias("salt"))
+    top = salted.withColumn("r", F.row_number().over(Window.partitionBy("number", "salt").orderBy("node"))).where(F.col("r") <= pivots)
+    best = top.withColumn("k", F.row_number().over(Window.partitionBy("number").orderBy("node"))).where(F.col("k") <= pivots).select("number", "node", "k")
+    return now.join(best, ["number", "node"], "left")
 
 
 def keep_one(df: DataFrame, similarity: float = 0.8, shingle: int = 5, key: str = "doc_id", text: str = "text", listed: int = LISTED) -> DataFrame:
-    """The rows of df without those that are linked, directly or by others, to a row with a smaller id; rows without an id stay."""
-    share = Fraction(str(similarity))
-    every = durable(shingle_sets(df, shingle, key, text), "near-every")
-    distinct = durable(every.groupBy("node").agg(F.min(key).alias("least"), F.min("n").alias("n"), F.min("bands").alias("bands")), "near-distinct")
-    rooted = components(links(distinct, every, share, listed), "near-components").withColumnRenamed("node", "m")
-    named = distinct.select("node", "least").join(rooted, F.col("node") == F.col("m"), "left").select("node", "least", F.coalesce("root", "node").alias("root"))
-    named = durable(named.join(named.groupBy("root").agg(F.min("least").alias("component_id")), "root").select("node", "component_id"), "near-named")
+    """The rows of df without those that are linked, directly or by others, to a row with a smaller id; of equal ids in a group
+    the row that stands first stays."""
+    docs = numbered(df)
+    every = durable(marks(docs, shingle, key, text), "near-every")
+    place = F.struct(*PLACE)
+    named = F.struct("id", *PLACE)
+    distinct = durable(every.groupBy("node").agg(F.min(F.when(F.col("id").isNotNull(), named)).alias("least"), F.min(place).alias("first"), F.first("fp").alias("fp"), F.first("bands").alias("bands")), "near-distinct")
+    confirmed = Confirmed(docs, distinct, Fraction(str(similarity)), shingle, text)
+    roots = components(links(distinct, confirmed, listed), "near-components").withColumnRenamed("node", "m")
+    own = distinct.select("node", "least").join(roots, F.col("node") == F.col("m"), "left").select("node", "least", F.coalesce("root", "node").alias("root"))
+    stays = own.groupBy("root").agg(F.min("least").alias("stays"))
+    own = durable(own.select("node", "root").join(stays, "root").select("node", "stays").where("stays IS NOT NULL"), "near-named")
     release(df.sparkSession)
-    gone = durable(every.select(key, "node").join(named, "node").where(F.col(key) > F.col("component_id")).select(F.col(key).alias("__gone")).distinct(), "near-gone")
-    return df.join(small(gone, 16), F.col(key) == F.col("__gone"), "left_anti")
+    same = (F.col(PLACE[0]) == F.col(f"stays.{PLACE[0]}")) & (F.col(PLACE[1]) == F.col(f"stays.{PLACE[1]}"))
+    gone = durable(every.select("id", *PLACE, "node").where("id IS NOT NULL").join(own, "node").where(~same).select(*(F.col(c).alias(f"g{c}") for c in PLACE)), "near-gone")
+    return docs.join(small(gone, 256), (F.col(PLACE[0]) == F.col(f"g{PLACE[0]}")) & (F.col(PLACE[1]) == F.col(f"g{PLACE[1]}")), "left_anti").select(*df.columns)

@@ -28,11 +28,10 @@ from pyspark.sql import functions as F
 
 from .common import components, durable, release, slices
 from .hashing import bit_votes, mix, shingles
-from .nearcopies import keep_one  # noqa: F401  near copies by exact similarity
 
 U = np.uint64
 #: Entries that one partition gets on average, and stored entries of one value beyond which it is dealt over a grid.
-PART_ENTRIES, HOT = 1_000_000, 20_000
+PART_ENTRIES, HOT = 250_000, 20_000
 
 
 class Segment(NamedTuple):
@@ -57,6 +56,8 @@ class Scheme(NamedTuple):
 
 #: The contract's links: 64 bits, distance 2. If both halves of two fingerprints differ, one bit of each does; else one half is equal.
 CONTRACT = Scheme(3, 1, (Segment(0, 0, 32, 1), Segment(0, 32, 32, 0)), 2)
+#: The same links between fingerprints of five-word shingle sets.
+FIVE = CONTRACT._replace(shingle=5, distinct=True)
 
 
 def fingerprints(df: DataFrame, scheme: Scheme, key: str = "doc_id", text: str = "text") -> DataFrame:
@@ -266,3 +267,11 @@ def grouped(df: DataFrame, scheme: Scheme, key: str = "doc_id", text: str = "tex
 def contract(df: DataFrame) -> DataFrame:
     """(doc_id, fingerprint, component_id): fingerprints of 64 bits as 16 hex digits, links at 2 differing bits or fewer."""
     return grouped(df, CONTRACT).select("doc_id", F.lower(F.lpad(F.hex("node"), 16, "0")).alias("fingerprint"), "component_id")
+
+
+def keep_one(df: DataFrame, similarity: float = 0.8, shingle: int = 5, key: str = "doc_id", text: str = "text") -> DataFrame:
+    """The rows of df without near copies of rows with smaller ids: fingerprints within two bits, completed to all links of
+    the similarity and confirmed by complete shingle sets (``nearcopies``)."""
+    from .nearcopies import keep_one as completed  # which builds on this module
+
+    return completed(df, similarity, shingle, key, text)

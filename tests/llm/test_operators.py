@@ -120,6 +120,23 @@ def test_near_copies_stage(spark):
     assert kept == {i + 100 if i != 3 else None for i in range(30)} | {133}  # the row without an id stays, so its copy is the first with one
 
 
+def test_near_copies_judge_rows(spark):
+    """Ids that stand on several texts, equal rows, and rows without an id."""
+    rng = random.Random(3)
+    a, b, c = (words(rng, 60, 10**6) for _ in range(3))
+    df = spark.createDataFrame([(1, a), (2, a), (2, b), (7, c), (7, c), (None, c), (None, a)], "doc_id long, text string")
+    assert sorted(((r.doc_id or 0), r.text) for r in simhash.keep_one(df).collect()) == sorted([(1, a), (2, b), (7, c), (0, c), (0, a)])
+
+
+def test_leaks_without_ids(spark):
+    rng = random.Random(5)
+    item = words(rng, 20, 5000)
+    df = spark.createDataFrame([(None, "x " + item), (None, "fine"), (1, item), (1, "fine too")], "doc_id int, text string")
+    bench = spark.createDataFrame([(3, item), (4, item), (None, item)], "item_id int, text string")
+    assert sorted(r.text for r in decontamination.clean(df, bench).collect()) == ["fine", "fine too"]
+    assert sorted((r.doc_id or 0, r.item_id or 0) for r in decontamination.find_leaks(df, bench).collect()) == [(0, 0), (0, 3), (0, 4), (1, 0), (1, 3), (1, 4)]
+
+
 def five(text):
     w = text.split()
     return {" ".join(w[i : i + 5]) for i in range(max(1, len(w) - 4))}
@@ -208,7 +225,7 @@ def test_language_stage_without_languages(spark, sf):
     import corpus_pipeline
 
     df = spark.createDataFrame([(1, "some words", None), (2, "12 !", None), (3, None, None), (None, "34", None), (5, "ü", None)], "doc_id long, text string, lang string")
-    assert {r.doc_id for r in corpus_pipeline.language(spark, df, sf).collect()} == {1, None, 5}
+    assert {r.doc_id for r in corpus_pipeline.language(spark, df, sf).collect()} == {1, 5}  # rows without an id are judged too
 
 
 def test_urls(spark):
@@ -281,6 +298,32 @@ def test_mix(spark, texts):
     assert mixing.mix(df.limit(0)).count() == 0
 
 
+def test_mix_of_equal_rows(spark):
+    """Rows that are equal in everything, or have no id, are counted one by one."""
+    text = " ".join(["w"] * 10)
+    rows = [(i, text, "a") for i in range(300)] + [(7000 if i % 2 else None, text, "b") for i in range(100)]
+    got = mixing.mix(spark.createDataFrame(rows, "doc_id long, text string, source string")).collect()
+    sums = {}
+    for r in got:
+        sums.setdefault((r.source_size, r.target), []).append(r.taken)
+    assert len(got) == 400 and all(abs(sum(v) - t) <= 10 for (_, t), v in sums.items())
+
+
+def test_mix_follows_the_odds(spark):
+    """Over many seeds, a document's copies average to what its size gives it; equal odds for all would give 1.5."""
+    rng = random.Random(1)
+    sizes = {i: rng.choice([3, 12, 50]) for i in range(160)}
+    rows = [(i, " ".join(["w"] * n), "a" if i < 80 else "b") for i, n in sizes.items()]
+    df = spark.createDataFrame(rows, "doc_id long, text string, source string").coalesce(1).cache()
+    total = {}
+    for seed in range(8):
+        for r in mixing.mix(df, seed=f"s{seed}").collect():
+            if r.doc_id < 80:
+                total.setdefault(sizes[r.doc_id], []).append(r.copies)
+    mean = {n: sum(v) / len(v) for n, v in total.items()}
+    assert mean[12] / mean[3] == pytest.approx(2, rel=0.25) and mean[50] / mean[12] == pytest.approx(1.5, rel=0.15)
+
+
 def test_toxicity(spark):
     rng = random.Random(7)
     rows, labels = [], []
