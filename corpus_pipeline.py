@@ -1,47 +1,49 @@
 """The corpus pipeline: language, near copies, benchmark leaks, source mix, shards; each stage reads what the one before wrote.
 
-Every stage takes (spark, docs, sf_dir) and works on all rows of docs; all but the last return the columns of docs.
+Every stage takes (spark, docs, sf_dir) and works on all rows of docs; all but the last return the columns of docs. Decisions
+are made for rows, not for ids: rows with equal ids and other texts, or without an id, are judged by themselves.
+
+Cases: a table from which no language can be learned loses only texts without letters; rows without an id are never taken for
+near copies, but leave if they leak; repeated rows are one group of near copies, and each of them has its own rank in the mix; an
+empty table stays empty; null texts have no letter and leave first.
 """
 
 from __future__ import annotations
 
-import numpy as np
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from schemasift.llm import decontamination, langid, mixing, nearcopies, sharding
-from schemasift.llm.common import durable, held_out, small, table
-
+from schemasift.llm import decontamination, langid, mixing, sharding, simhash
+from schemasift.llm.common import PLACE, durable, held_out, numbered, small, table
 
-def _without(docs: DataFrame, gone: DataFrame) -> DataFrame:
-    """docs without the ids of a written table, which is broadcast only if it is known to be small."""
-    return docs.join(small(gone, 16), F.col("doc_id") == F.col("__gone"), "left_anti")
+#: A text of so many letters whose cosine with every language is lower is in none of them.
+TELLING, UNLIKE = 64, 0.1
 
 
 def language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents in which no language can be told (no letter at all) go."""
-    names, protos = langid.prototypes(langid.piece_counts(docs.where(~held_out("doc_id"))))
-    if not names:  # nothing to learn from; any letter will do
-        names, protos = ["any"], np.zeros((1, langid.WIDTH))
-    said = langid.predict(docs, names, protos)
-    return _without(docs, durable(said.where("lang_pred = 'und'").select(F.col("doc_id").alias("__gone")).distinct(), "pipeline-und"))
+    """Documents without any letter go, and those with enough letters that are unlike every language that was learned."""
+    names, protos = langid.prototypes(langid.sums(docs.where(~held_out("doc_id"))))
+    said = langid.predict(docs, names, protos, keep=tuple(docs.columns), prefix="__")
+    known = F.lit(not names) | (F.col("__letters") < TELLING) | (F.col("__score") >= UNLIKE)
+    return said.where((F.col("__letters") > 0) & known).select(*docs.columns)
 
 
 def near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Of each group linked by an exact Jaccard of 0.8 of their five-word shingles, the document with the smallest id stays."""
-    return nearcopies.keep_one(docs, 0.8, 5)
+    return simhash.keep_one(docs, 0.8, 5)
 
 
 def leaks(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents that hold a benchmark passage go."""
-    found = decontamination.find_leaks(docs, table(spark, sf_dir, "benchmark"))
-    return _without(docs, durable(found.select(F.col("doc_id").alias("__gone")).distinct(), "pipeline-leaks"))
+    return decontamination.clean(docs, table(spark, sf_dir, "benchmark"))
 
 
 def source_mix(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Each document as often as the mix takes it."""
-    taken = durable(mixing.mix(docs).where("copies <> 1").groupBy(F.col("doc_id").alias("__id")).agg(F.max("copies").alias("__copies")), "pipeline-mix")
-    times = docs.join(small(taken, 24), F.col("doc_id").eqNullSafe(F.col("__id")), "left").withColumn("__copies", F.coalesce("__copies", F.lit(1)))
+    placed = numbered(docs)
+    taken = durable(mixing.mix(placed, keep=PLACE).where("copies <> 1").select(*(F.col(c).alias(f"m{c}") for c in PLACE), "copies"), "pipeline-mix")
+    same = (F.col(PLACE[0]) == F.col(f"m{PLACE[0]}")) & (F.col(PLACE[1]) == F.col(f"m{PLACE[1]}"))
+    times = placed.join(small(taken.withColumnRenamed("copies", "__copies"), 256), same, "left").withColumn("__copies", F.coalesce("__copies", F.lit(1)))
     return times.where("__copies > 0").withColumn("__copy", F.explode(F.sequence(F.lit(1), F.col("__copies")))).select(*docs.columns)
 
 
