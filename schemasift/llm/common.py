@@ -2,11 +2,14 @@
 
 from __future__ import annotations
 
+import contextlib
+import ctypes
 import gc
 import re
 import tempfile
 import uuid
 from collections.abc import Iterator
+from functools import cache
 
 import numpy as np
 import pyarrow as pa
@@ -15,7 +18,16 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 #: Python's numeric code works on slices of at most about this many text bytes (one longer text makes a slice of its own).
-SLICE_BYTES = 2 << 20
+SLICE_BYTES = 1 << 20
+
+
+@cache
+def lean() -> None:
+    """Once in a process: arrays of a megabyte or more, and Arrow's buffers, go back to the system as soon as they are freed. A
+    Python worker lives on after its task, and an executor's memory counts what its workers keep."""
+    pa.set_memory_pool(pa.system_memory_pool())
+    with contextlib.suppress(OSError, AttributeError):  # another C library than glibc
+        ctypes.CDLL(None).mallopt(-3, 1 << 20)
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -81,6 +93,7 @@ def held_out(doc_id: Column | str) -> Column:
 
 def slices(column: pa.Array | pa.ChunkedArray, limit: int = SLICE_BYTES) -> Iterator[tuple[int, int, np.ndarray, np.ndarray]]:
     """(first row, end row, UTF-8 bytes, offsets from 0) of a string column; null counts as empty."""
+    lean()
     column = pc.fill_null(column, "")
     for chunk in column.chunks if isinstance(column, pa.ChunkedArray) else [column]:
         wide = pa.types.is_large_string(chunk.type) or pa.types.is_large_binary(chunk.type)

@@ -26,7 +26,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import durable, small
+from .common import durable, lean, small
 
 #: Places compared by each mask. The first hits every window of 13 places with 2 changed ones; with the second, for items of 8 to
 #: 12 words only, so does every window of those lengths with as many changed places as 0.8 allows.
@@ -179,6 +179,7 @@ def find_leaks(docs: DataFrame, benchmark: DataFrame, key: str = "doc_id", text:
         shared = spark.sparkContext.broadcast(index)
 
         def run(batches: Iterator[pa.RecordBatch], shared=shared) -> Iterator[pa.RecordBatch]:
+            lean()
             index = shared.value
             for b in batches:
                 rows = defaultdict(list)
@@ -204,9 +205,9 @@ def clean(docs: DataFrame, benchmark: DataFrame, text: str = "text", item_text:
         shared = docs.sparkSession.sparkContext.broadcast(index)
 
         def run(batches: Iterator[pa.RecordBatch], shared=shared) -> Iterator[pa.RecordBatch]:
-            for b in batches:
-                keep = [not leaks_in(t.as_py() or "", shared.value) for t in b.column(at)]
-                yield b.filter(pa.array(keep, pa.bool_()))
+            lean()
+            for b in (b.slice(i, 1024) for b in batches for i in range(0, b.num_rows, 1024)):
+                yield b.filter(pa.array([not leaks_in(t.as_py() or "", shared.value) for t in b.column(at)], pa.bool_()))
 
         docs = docs.mapInArrow(run, schema)
     return docs

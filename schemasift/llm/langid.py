@@ -148,22 +148,19 @@ def predict(df: DataFrame, names: list[str], protos: np.ndarray, text: str = "te
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         names, protos = shared.value
         for batch in batches:
-            said, score, letters = [], [], []
             for lo, hi, data, at in slices(batch.column(at_text), AT_ONCE):
                 piece, which, n = pieces_of(data, at)
-                letters += n.tolist()
-                if not names:
-                    said, score = said + ["und"] * len(n), score + [0.0] * len(n)
-                    continue
+                said, score = ["und"] * len(n), [0.0] * len(n)
                 row = np.repeat(np.arange(hi - lo), n)
-                for k in range(0, hi - lo, 512):
+                for k in range(0, hi - lo, 512) if names else ():
                     some = slice(*np.searchsorted(row, [k, k + 512]))
                     profile = profiles(piece, which[some], row[some] - k, min(512, hi - lo - k))
                     got = profile @ protos.T / np.maximum(np.linalg.norm(profile, axis=1, keepdims=True), 1e-9)
                     best = got.argmax(1)
-                    said += [names[b] if m else "und" for b, m in zip(best, n[k : k + 512], strict=True)]
-                    score += [float(min(1.0, max(0.0, got[i, b]))) if n[k + i] else 0.0 for i, b in enumerate(best)]
-            yield pa.RecordBatch.from_arrays([*(batch.column(i) for i in range(len(keep))), pa.array(said, pa.string()), pa.array(score, pa.float64()), pa.array(letters, pa.int64())], [*(f"k{i}" for i in range(len(keep))), *made])
+                    said[k : k + 512] = [names[b] if m else "und" for b, m in zip(best, n[k : k + 512], strict=True)]
+                    score[k : k + 512] = [float(min(1.0, max(0.0, got[i, b]))) if n[k + i] else 0.0 for i, b in enumerate(best)]
+                own = batch.slice(lo, hi - lo)
+                yield pa.RecordBatch.from_arrays([*(own.column(i) for i in range(len(keep))), pa.array(said, pa.string()), pa.array(score, pa.float64()), pa.array(n, pa.int64())], [*(f"k{i}" for i in range(len(keep))), *made])
 
     schema = df.select(*keep).schema
     for i, field in enumerate(schema.fields):
