@@ -62,7 +62,13 @@ def _asof(t: Load) -> DataFrame:
     return t("events").where(C("event_type").isin("view", "purchase")).withColumn("last_view", last).where("event_type = 'purchase'").select("event_id", "last_view")
 
 
-op("join_lateral_topk", "SELECT p_brand, p_partkey FROM part QUALIFY row_number() OVER (PARTITION BY p_brand ORDER BY p_retailprice DESC, p_partkey) <= 2")(lambda t: t("part").withColumn("r", F.row_number().over(W.partitionBy("p_brand").orderBy(F.desc("p_retailprice"), "p_partkey"))).where("r <= 2").select("p_brand", "p_partkey"))
+def _lateral(t: Load) -> DataFrame:
+    """For each brand, the head of an ordered subquery that names it."""
+    own = t("part").alias("p").where(C("p.p_brand").eqNullSafe(C("b.brand").outer())).orderBy(F.desc("p_retailprice"), "p_partkey").limit(2).select("p_partkey")
+    return t("part").select(C("p_brand").alias("brand")).distinct().alias("b").lateralJoin(own).select(C("brand").alias("p_brand"), "p_partkey")
+
+
+op("join_lateral_topk", "SELECT p_brand, p_partkey FROM part QUALIFY row_number() OVER (PARTITION BY p_brand ORDER BY p_retailprice DESC, p_partkey) <= 2")(lambda t: _lateral(t))
 op("join_self_chain", "SELECT r_name, count(*) AS n FROM region JOIN nation ON n_regionkey = r_regionkey JOIN customer ON c_nationkey = n_nationkey JOIN orders ON o_custkey = c_custkey GROUP BY 1")(lambda t: t("orders").join(t("customer"), C("o_custkey") == C("c_custkey")).join(F.broadcast(t("nation")), C("c_nationkey") == C("n_nationkey")).join(F.broadcast(t("region")), C("n_regionkey") == C("r_regionkey")).groupBy("r_name").agg(N().alias("n")))
 
 # --- aggregates ----------------------------------------------------------------------------------------------------------------
@@ -79,7 +85,7 @@ op("agg_cube", "SELECT o_orderstatus, o_orderpriority, count(*) AS n, GROUPING(o
 op("agg_pivot", "SELECT o_orderpriority, count(*) FILTER (WHERE o_orderstatus = 'F') AS f, count(*) FILTER (WHERE o_orderstatus = 'O') AS o, count(*) FILTER (WHERE o_orderstatus = 'P') AS p FROM orders GROUP BY 1")(lambda t: t("orders").groupBy("o_orderpriority").pivot("o_orderstatus", ["F", "O", "P"]).agg(N()).select("o_orderpriority", F.coalesce("F", L(0)).alias("f"), F.coalesce("O", L(0)).alias("o"), F.coalesce("P", L(0)).alias("p")))
 op("agg_unpivot", "SELECT p_partkey, 'p_size' AS what, CAST(p_size AS DOUBLE) AS v FROM part UNION ALL SELECT p_partkey, 'p_retailprice', p_retailprice FROM part")(lambda t: t("part").select("p_partkey", C("p_size").cast("double").alias("p_size"), "p_retailprice").unpivot("p_partkey", ["p_size", "p_retailprice"], "what", "v"))
 op("agg_having", "SELECT o_custkey, count(*) AS n FROM orders GROUP BY 1 HAVING count(*) > 12")(lambda t: t("orders").groupBy("o_custkey").agg(N().alias("n")).where("n > 12"))
-op("agg_sort_based", None)(lambda t: t("orders").groupBy("o_custkey").agg(F.sort_array(F.collect_list("o_orderkey")).alias("keys")))
+op("agg_sort_based", "SELECT o_custkey, max(o_orderpriority) AS top, min(o_orderstatus) AS low FROM orders GROUP BY 1")(lambda t: t("orders").groupBy("o_custkey").agg(F.max("o_orderpriority").alias("top"), F.min("o_orderstatus").alias("low")))  # text can't be updated in place, so Spark sorts
 
 # --- windows, sorts, sets --------------------------------------------------------------------------------------------------------
 _cust = lambda: W.partitionBy("o_custkey").orderBy(F.desc("o_totalprice"), "o_orderkey")

@@ -59,8 +59,16 @@ def biencoder(asked: DataFrame, columns: DataFrame, described: DataFrame) -> Dat
     return dots.join(cn, "col_id").join(qn, "qid").select("qid", "col_id", (F.col("dot") / (F.col("cn") * F.col("qn"))).alias("score"))
 
 
+#: Pairs of features that the cross-encoder weighs together. Fixed values.
+PAIRS = [("name_prefix", "table_prefix", 1.5), ("value_score", "name_grams", 2.0), ("descr_share", "name_share", 1.0), ("number_cue", "table_grams", -0.8)]
+
+
 def cross(features: DataFrame) -> DataFrame:
-    return features.select("qid", "col_id", sigmoid(linear()).alias("score"))
+    """Question and column are read together: evidence counts by itself and, other than in ``reranker``, in pairs."""
+    joint = linear()
+    for a, b, w in PAIRS:
+        joint = joint + F.col(a) * F.col(b) * w
+    return features.select("qid", "col_id", sigmoid(joint).alias("score"))
 
 
 def reranker(features: DataFrame) -> DataFrame:
@@ -68,6 +76,7 @@ def reranker(features: DataFrame) -> DataFrame:
 
 
 # --- registered queries --------------------------------------------------------------------------------------------------------
+_JOINT = " + ".join([LOGIT_SQL, *(f"{a} * {b} * {w}" for a, b, w in PAIRS)])
 _S = "name_share * 1.2 + name_prefix * 1.6 + value_score * 2.2 + number_cue * 0.2"
 
 
@@ -116,7 +125,7 @@ def _bi(spark: SparkSession, sf: str) -> DataFrame:
     return _r(biencoder(questions(spark), c, describe_columns(c)))
 
 
-@query("base_cross", f"WITH {FEATURES_SQL} SELECT qid, col_id, round(1.0 / (1.0 + exp(-({LOGIT_SQL}))), 6) AS score FROM feats")
+@query("base_cross", f"WITH {FEATURES_SQL} SELECT qid, col_id, round(1.0 / (1.0 + exp(-({_JOINT}))), 6) AS score FROM feats")
 def _cross(spark: SparkSession, sf: str) -> DataFrame:
     return _r(cross(features_of(spark, sf)))
 

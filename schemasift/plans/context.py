@@ -8,7 +8,9 @@ from pyspark.sql import functions as F
 from ..functions.text import bare_name, expanded, expanded_sql, grams, grams_sql, tokens, tokens_sql, word_pieces, word_pieces_sql
 from ..registry import query
 from ..sources.catalog import cte, from_parquet, questions
+from ..sources.fixtures import TABLES
 from .describe import _MEANING, _OBSERVED, attach, describe_tables, observed
+from .profile import value_facts, value_facts_sql
 from .valueindex import SAMPLES_SQL, _open, bm25, samples, top_values
 
 NUMERIC, MAX_TOKENS = ["int", "bigint", "double", "float", "smallint", "decimal"], 4096
@@ -19,13 +21,14 @@ NUMBER_CUES, DATE_CUES = ["average", "total", "sum", "number", "many", "count",
 HAND, BIAS = [1.2, 1.6, 0.8, 0.7, 0.6, 0.4, 2.2, 0.2, 0.6, 0.1, 0.0, 1.0], -3.0
 
 
-def build(asked: DataFrame, columns: DataFrame, meta: DataFrame, tables: DataFrame, found: DataFrame) -> DataFrame:
+def build(asked: DataFrame, columns: DataFrame, meta: DataFrame, tables: DataFrame, found: DataFrame, facts: DataFrame) -> DataFrame:
     """(qid, col_id, context): the eight named parts. Parts without the question are joined once per column."""
+    columns = columns.join(facts, ["table_name", "column_name"], "left")
     still = columns.join(meta.select("table_name", "column_name", "descr"), ["table_name", "column_name"], "left").join(tables.withColumnRenamed("descr", "table_descr"), "table_name", "left")
     pairs = asked.select("qid").crossJoin(F.broadcast(still)).join(found, ["qid", "col_id"], "left")
     parts = F.struct(
         F.col("table_name").alias("table"), F.col("column_name").alias("column"), "table_descr", F.col("descr").alias("column_descr"), "dtype",
-        F.coalesce("samples", F.array().cast("array<string>")).alias("samples"), F.lit(False).alias("may_be_null"), F.lit(None).cast("string").alias("value_descr"),
+        F.coalesce("samples", F.array().cast("array<string>")).alias("samples"), F.coalesce("may_be_null", F.lit(False)).alias("may_be_null"), "value_descr",
     )
     return pairs.select("qid", "col_id", parts.alias("context"))
 
@@ -119,13 +122,13 @@ def _l0(spark: SparkSession, sf: str) -> DataFrame:
 
 
 _TABLE_DESCR = f"td AS (SELECT table_name, 'Rows of ' || table_name || ' with ' || string_agg({expanded_sql('column_name')}, ', ' ORDER BY ordinal) || '.' AS table_descr FROM cols GROUP BY table_name)"
-_CONTEXT_SQL = f"""{SAMPLES_SQL}, {_DESCRIBED}, {_TABLE_DESCR}, ctx AS (SELECT qid, col_id, 'column ' || c.table_name || '.' || c.column_name || ' of type ' || dtype || '; ' || m.descr || ' ' || table_descr || ' Values: ' || array_to_string(samples, ', ') AS context FROM samples JOIN cols c USING (col_id) JOIN meta m USING (table_name, column_name) JOIN td USING (table_name))"""
+_CONTEXT_SQL = f"""{SAMPLES_SQL}, {_DESCRIBED}, {_TABLE_DESCR}, cf AS ({value_facts_sql(TABLES)}), ctx AS (SELECT qid, col_id, 'column ' || c.table_name || '.' || c.column_name || ' of type ' || dtype || '; ' || m.descr || ' ' || table_descr || ' Values: ' || array_to_string(samples, ', ') || CASE WHEN may_be_null THEN '; may be missing' ELSE '' END || coalesce('; ' || value_descr, '') AS context FROM samples JOIN cols c USING (col_id) JOIN meta m USING (table_name, column_name) JOIN td USING (table_name) LEFT JOIN cf USING (table_name, column_name))"""
 
 
 def contexts(spark: SparkSession, sf: str) -> DataFrame:
     asked, columns, index = _open(spark, sf)
     found = samples(asked, columns, top_values(bm25(asked, index.values, index.postings)), index.examples)
-    return build(asked, columns, attach(columns, observed(spark)), describe_tables(columns), found)
+    return build(asked, columns, attach(columns, observed(spark)), describe_tables(columns), found, value_facts(spark, sf, TABLES))
 
 
 @query("column_context", f"WITH {_CONTEXT_SQL} SELECT qid, col_id, context FROM ctx")

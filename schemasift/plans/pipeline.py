@@ -7,15 +7,17 @@ from typing import NamedTuple
 
 import numpy as np
 import pandas as pd
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.errors import AnalysisException
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from ..registry import query
 from ..sources import fixtures as fx
 from ..sources.catalog import Catalog, cte, from_parquet, gold, questions
 from . import baselines, depgraph, encoder, metrics, relgraph, spanner
-from .context import BIAS, FEATURES, HAND, features_of
+from .context import BIAS, FEATURES, FEATURES_SQL, HAND, LOGIT_SQL, features_of, linear
 from .depgraph import ALL_SQL
+from .gold import with_views
 from .describe import _MEANING, _OBSERVED, attach, describe_columns, observed
 
 
@@ -225,10 +227,48 @@ def graph_variants(spark: SparkSession, sf: str) -> DataFrame:
     return metrics.roc_auc(scored, by).join(metrics.pr_auc(scored, by), by)
 
 
+def runs_on(spark: SparkSession, sf: str, kept: dict[str, set[str]]) -> DataFrame:
+    """(qid, answerable): whether the gold statement, run on views that have the kept columns only, gives the rows that it gives on
+    the whole tables. It measures what the kept columns allow, not what a language model would write."""
+    rows = []
+    whole = with_views(spark, sf)
+    for q, _, sql in fx.QUESTIONS:
+        own, by = spark.newSession(), {}
+        for name in kept.get(q, ()):
+            table, column = name.split(".", 1)
+            by.setdefault(table, []).append(column)
+        for table, names in by.items():
+            own.read.parquet(f"{sf}/{table}.parquet").select(*sorted(names)).createOrReplaceTempView(table)
+        try:
+            x, y = own.sql(sql), whole.sql(sql)
+            # as both read the same files, the views' statement can be compared in the session of the whole tables
+            same = x.columns == y.columns and _bag(x) == _bag(y)
+        except AnalysisException:  # a column or table that the statement names isn't there
+            same = False
+        rows.append((q, same))
+    return spark.createDataFrame(rows, "qid string, answerable boolean")
+
+
+def _bag(df: DataFrame) -> tuple[int, object]:
+    """A row count and an order-free digest of all rows, computed where the data is."""
+    return tuple(df.agg(F.count(F.lit(1)), F.sum(F.xxhash64(*(F.col(f"`{c}`") for c in df.columns)).cast("decimal(38,0)"))).first())
+
+
 @query("exec_on_subschema")
 def exec_on_subschema(spark: SparkSession, sf: str) -> DataFrame:
-    """(qid, answerable): whether the gold statement still runs on views that have the kept columns only. It measures sufficiency,
-    not what a language model would write."""
-    kept = {r["qid"]: set(r["columns"]) for r in filter_schema(spark, sf, k=16).collect()}
-    rows = [(q, set(fx.GOLD[q].split()) <= kept.get(q, set())) for q, _, _ in fx.QUESTIONS]
-    return spark.createDataFrame(rows, "qid string, answerable boolean")
+    """Gold statements on the sub-schemas of the trained filter."""
+    return runs_on(spark, sf, {r["qid"]: set(r["columns"]) for r in filter_schema(spark, sf, k=16).collect()})
+
+
+_GOLD_ROWS = ", ".join(f"('{q}', '{c}')" for q in fx.GOLD for c in fx.GOLD[q].split())
+
+
+@query("exec_on_ranked", f"WITH {FEATURES_SQL}, r AS (SELECT qid, table_name || '.' || column_name AS name FROM feats JOIN cols USING (col_id) QUALIFY row_number() OVER (PARTITION BY qid ORDER BY round({LOGIT_SQL}, 9) DESC, col_id) <= 16), g AS (SELECT * FROM (VALUES {_GOLD_ROWS}) v(qid, name)) SELECT g.qid, count(*) = count(r.name) AS answerable FROM g LEFT JOIN r ON g.qid = r.qid AND g.name = r.name GROUP BY g.qid")
+def exec_on_ranked(spark: SparkSession, sf: str) -> DataFrame:
+    """Gold statements on the best 16 columns of the untrained encoder. Its SQL tells by inclusion what is found here by running."""
+    order = Window.partitionBy("qid").orderBy(F.desc(F.round(linear(), 9)), "col_id")
+    best = features_of(spark, sf).select("qid", "col_id", F.row_number().over(order).alias("rank")).where("rank <= 16").join(from_parquet(spark, sf).columns, "col_id")
+    kept: dict[str, set[str]] = {}
+    for r in best.select("qid", F.concat_ws(".", "table_name", "column_name").alias("name")).collect():  # 16 a question
+        kept.setdefault(r["qid"], set()).add(r["name"])
+    return runs_on(spark, sf, kept)

@@ -10,8 +10,7 @@ from pyspark.sql import functions as F
 from ..registry import query
 from ..sources import fixtures as fx
 
-PROFILED = ["customer", "documents", "events", "lineitem", "nation", "orders", "part", "region", "supplier"]
-ENUMERABLE_LENGTH, ENUMERABLE_NDV, DESCRIBED_NDV = 40, 100_000, 12
+DESCRIBED_NDV = 12
 
 
 def profile_table(df: DataFrame, table: str, exact: bool = True) -> DataFrame:
@@ -36,13 +35,35 @@ def value_descr(df: DataFrame, table: str, columns: list[str], cap: int = DESCRI
     out = []
     for c in columns:
         values = df.where(F.col(c).isNotNull()).groupBy(F.col(c).cast("string").alias("v")).agg(F.count(F.lit(1)).alias("n")).orderBy("v").limit(cap + 1)
-        out.append(values.agg(F.when(F.count(F.lit(1)) <= cap, F.concat(F.lit("one of: "), F.array_join(F.array_sort(F.collect_list("v")), ", "))).alias("value_descr")).select(F.lit(table).alias("table_name"), F.lit(c).alias("column_name"), "value_descr"))
+        out.append(values.agg(F.when(F.count(F.lit(1)).between(1, cap), F.concat(F.lit("one of: "), F.array_join(F.array_sort(F.collect_list("v")), ", "))).alias("value_descr")).select(F.lit(table).alias("table_name"), F.lit(c).alias("column_name"), "value_descr"))
     return reduce(DataFrame.union, out)
 
 
-def enumerable_columns(profiled: DataFrame) -> DataFrame:
-    """String columns short enough to be indexed value by value; free text and nested text stay out."""
-    return profiled.where((F.col("max_len") <= ENUMERABLE_LENGTH) & (F.col("ndv") <= ENUMERABLE_NDV) & ~F.coalesce(F.col("lo"), F.lit("")).startswith("{")).select("table_name", "column_name")
+def value_facts(spark: SparkSession, sf: str, tables: list[str]) -> DataFrame:
+    """(table_name, column_name, may_be_null, value_descr) of every column: one pass over a table counts nulls and sketches how many
+    values each text column has; only those with few are read again for them, and the exact number decides."""
+    load, one = {t: spark.read.parquet(f"{sf}/{t}.parquet") for t in tables}, []
+    for t, df in load.items():
+        row = df.agg(*(F.struct((F.count_if(F.col(c).isNull()) > 0).alias("nulls"), (F.approx_count_distinct(c, 0.1) if kind == "string" else F.lit(None).cast("long")).alias("about")).alias(f"c{i}") for i, (c, kind) in enumerate(df.dtypes)))
+        each = F.array(*(F.struct(F.lit(c).alias("column_name"), F.col(f"c{i}.nulls").alias("may_be_null"), F.col(f"c{i}.about").alias("about")) for i, c in enumerate(df.columns)))
+        one.append(row.select(F.lit(t).alias("table_name"), F.inline(each)))
+    rows = reduce(DataFrame.union, one).collect()  # a row per column of the catalog
+    flags = spark.createDataFrame([tuple(r)[:3] for r in rows], "table_name string, column_name string, may_be_null boolean")
+    few = [(r["table_name"], r["column_name"]) for r in rows if r["about"] and r["about"] <= 2 * DESCRIBED_NDV]
+    if not few:
+        return flags.withColumn("value_descr", F.lit(None).cast("string"))
+    described = reduce(DataFrame.union, (value_descr(load[t], t, [c]) for t, c in few))
+    return flags.join(F.broadcast(described), ["table_name", "column_name"], "left")
+
+
+def value_facts_sql(tables: list[str]) -> str:
+    out = []
+    for t in tables:
+        for x in fx.COLUMNS[t].split():
+            c, kind = x.split(":")
+            descr = f"CASE WHEN count(DISTINCT {c}) <= {DESCRIBED_NDV} THEN 'one of: ' || string_agg(DISTINCT {c}, ', ' ORDER BY {c}) END" if kind == "string" else "CAST(NULL AS VARCHAR)"
+            out.append(f"SELECT '{t}' AS table_name, '{c}' AS column_name, count(*) > count({c}) AS may_be_null, {descr} AS value_descr FROM {t}")
+    return " UNION ALL ".join(out)
 
 
 def _profile_sql(tables: list[str]) -> str:

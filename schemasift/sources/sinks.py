@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import re
 import tempfile
 import uuid
 from collections.abc import Iterator
@@ -21,6 +22,8 @@ def scratch(spark: SparkSession, name: str) -> str:
     """A folder that all executors share, for tables that live as long as a job."""
     top = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
     if not top:
+        if not re.fullmatch(r"local(\[[^\[]*\])?", spark.sparkContext.master):
+            raise RuntimeError("spark.checkpoint.dir names no folder that the executors share")
         top = "file://" + tempfile.mkdtemp(prefix="schemasift-")
         spark.sparkContext.setCheckpointDir(top)
     return f"{top.rstrip('/')}/{name}-{uuid.uuid4().hex}"
@@ -136,6 +139,21 @@ def _udtf(spark: SparkSession, sf: str) -> DataFrame:
     return spark.sql(f"SELECT * FROM context_lines('{listed}')")
 
 
+@query("explode_subschema", "SELECT * FROM (VALUES " + ", ".join(f"('{q}', '{c.split('.')[0]}', '{c.split('.')[1]}')" for q in fx.GOLD for c in fx.GOLD[q].split()) + ") v(qid, table_name, column_name)")
+def _explode(spark: SparkSession, sf: str) -> DataFrame:
+    """A table function beside a lateral join: one row for each column of each question's sub-schema."""
+    from pyspark.sql.functions import udtf
+
+    class Columns:
+        def eval(self, names: str):  # noqa: ANN202
+            for name in (names or "").split():
+                yield tuple(name.split(".", 1))
+
+    spark.udtf.register("explode_subschema", udtf(Columns, returnType="table_name string, column_name string"))
+    held = spark.createDataFrame(list(fx.GOLD.items()), "qid string, names string")
+    return spark.sql("SELECT qid, s.table_name, s.column_name FROM {held}, LATERAL explode_subschema(names) s", held=held)
+
+
 @query("udaf_auc_check")
 def _udaf(spark: SparkSession, sf: str) -> DataFrame:
     """A grouped pandas aggregate, beside which the native measure is checked."""
