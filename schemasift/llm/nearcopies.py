@@ -115,37 +115,31 @@ class Confirmed:
         return found
 
 
-def rooted(pairs: DataFrame, roots: DataFrame) -> DataFrame:
-    """The pairs whose members have different roots."""
-    for c in "ab":
-        pairs = pairs.join(roots.select(F.col("node").alias(f"n{c}"), F.col("root").alias(f"r{c}")), F.col(c) == F.col(f"n{c}"), "left")
-    return pairs.where(F.coalesce("ra", "a") != F.coalesce("rb", "b")).select("a", "b")
-
-
-def links(distinct: DataFrame, confirmed: Confirmed, listed: int = LISTED) -> DataFrame:
-    """(a, b): links of the similarity that join the same nodes as all of them. distinct: (node, fp, bands, first)."""
+def roots_of(distinct: DataFrame, confirmed: Confirmed, listed: int = LISTED) -> DataFrame:
+    """(node, root) of every node that has a link of the similarity, as all such links join them. distinct: (node, fp, bands, first)."""
     by_bits = simhash.links(distinct.select("node", "fp", F.lit(b"").alias("weak")), simhash.FIVE)
-    found = confirmed(durable(by_bits.select("a", "b"), "near-pairs"))
     entries = distinct.select("node", F.explode("bands").alias("number"))
-    # groups of two nodes or more, as an aggregate that is combined in the tasks first
+    # groups of two nodes or more, as an aggregate that is combined in the tasks first; the least node is the first pivot
     shared = entries.groupBy("number").agg(F.min("node").alias("p"), F.max("node").alias("top")).where("p < top").select("number", "p")
-    left = durable(entries.join(shared, "number"), "near-left")
-    pairs, pivots = left.where("node <> p").select(F.col("p").alias("a"), F.col("node").alias("b")).distinct(), listed
-    left = left.where("node <> p").select("number", "node")
+    left = durable(entries.join(shared, "number").where("node <> p"), "near-left")
+    pairs, pivots = left.select(F.col("p").alias("a"), F.col("node").alias("b")).union(by_bits.select(F.least("a", "b"), F.greatest("a", "b"))), listed
+    left, roots = left.select("number", "node"), None
     while True:
-        roots = components(found, "near-roots")
-        pairs = durable(rooted(pairs, roots), "near-pairs")
-        found = durable(found.union(confirmed(pairs)), "near-links")
-        roots = components(found, "near-roots").withColumnRenamed("node", "m")
-        now = durable(left.join(roots, F.col("node") == F.col("m"), "left").select("number", "node", F.coalesce("root", "node").alias("root")), "near-left")
+        found = confirmed(durable(pairs.distinct(), "near-pairs"))
+        if roots is None:
+            roots = components(found, "near-roots")
+        elif not found.isEmpty():
+            roots = components(found.union(roots.select(F.col("root").alias("a"), F.col("node").alias("b"))), "near-roots")
+        named = left.join(roots.withColumnRenamed("node", "m"), F.col("node") == F.col("m"), "left").select("number", "node", F.coalesce("root", "node").alias("root"))
+        now = durable(named, "near-left")
         apart = now.groupBy("number").agg(F.min("root").alias("lo"), F.max("root").alias("hi")).where("lo < hi").select("number")
         now = durable(now.join(apart, "number"), "near-left")
         if now.isEmpty():
-            return found
+            return roots
         now = durable(pivoted(now, pivots), "near-left")
         pivot = now.where("k IS NOT NULL").select("number", F.col("node").alias("p"), F.col("root").alias("q"), F.col("k").alias("pk"))
         met = now.join(pivot, "number").where((F.col("root") != F.col("q")) & (F.col("k").isNull() | (F.col("k") > F.col("pk"))))
-        pairs = met.select(F.least("node", "p").alias("a"), F.greatest("node", "p").alias("b")).distinct()
+        pairs = met.select(F.least("node", "p").alias("a"), F.greatest("node", "p").alias("b"))
         left, pivots = now.where("k IS NULL").select("number", "node"), pivots * 4
 
 
@@ -167,7 +161,7 @@ def keep_one(df: DataFrame, similarity: float = 0.8, shingle: int = 5, key: str
     named = F.struct("id", *PLACE)
     distinct = durable(every.groupBy("node").agg(F.min(F.when(F.col("id").isNotNull(), named)).alias("least"), F.min(place).alias("first"), F.first("fp").alias("fp"), F.first("bands").alias("bands")), "near-distinct")
     confirmed = Confirmed(docs, distinct, Fraction(str(similarity)), shingle, text)
-    roots = components(links(distinct, confirmed, listed), "near-components").withColumnRenamed("node", "m")
+    roots = roots_of(distinct, confirmed, listed).withColumnRenamed("node", "m")
     own = distinct.select("node", "least").join(roots, F.col("node") == F.col("m"), "left").select("node", "least", F.coalesce("root", "node").alias("root"))
     stays = own.groupBy("root").agg(F.min("least").alias("stays"))
     own = durable(own.select("node", "root").join(stays, "root").select("node", "stays").where("stays IS NOT NULL"), "near-named")
