@@ -6,8 +6,8 @@ fingerprints can't show come from bands of MinHashes: two texts meet if all hash
 so many that a pair at the threshold itself fails to meet with a probability of 4e-12; whoever meets and isn't joined yet is
 compared by the complete sets, so what is below the threshold is never linked. Texts with equal sets are one node.
 
-Groups of equal bands are resolved in rounds: some members (pivots) are compared with all others that they are not
-joined with, and leave. All of it is aggregates and joins, so no task holds a group, and hot ones split in AQE's skew join.
+Groups of equal bands are resolved in rounds: some members outside a group's largest component (pivots) are compared with all
+others that they are not joined with, and leave. All of it is aggregates and joins, so no task holds a group, and hot ones split in AQE's skew join.
 
 Cases: null texts count as empty; texts without words have equal (empty) sets; of repeated rows one stays; rows without an id
 always stay and never replace another; one id may stand on several texts; long texts are read whole; an empty table gives an
@@ -136,20 +136,20 @@ def roots_of(distinct: DataFrame, confirmed: Confirmed, listed: int = LISTED) ->
         now = durable(now.join(apart, "number"), "near-left")
         if now.isEmpty():
             return roots
-        now = durable(pivoted(now, pivots), "near-left")
-        pivot = now.where("k IS NOT NULL").select("number", F.col("node").alias("p"), F.col("root").alias("q"), F.col("k").alias("pk"))
-        met = now.join(pivot, "number").where((F.col("root") != F.col("q")) & (F.col("k").isNull() | (F.col("k") > F.col("pk"))))
+        # a group is done when one component is left of it: only members outside its largest one need be pivots
+        sizes = now.groupBy("number", "root").agg(F.count(F.lit(1)).alias("n"))
+        largest = sizes.groupBy("number").agg(F.max_by("root", F.struct("n", "root")).alias("big"))
+        pivot = durable(least(now.join(largest, "number").where("root <> big").select("number", "node", "root"), pivots), "near-pivots")
+        met = now.join(pivot.select("number", F.col("node").alias("p"), F.col("root").alias("q")), "number").where("root <> q")
         pairs = met.select(F.least("node", "p").alias("a"), F.greatest("node", "p").alias("b"))
-        left, pivots = now.where("k IS NULL").select("number", "node"), pivots * 4
+        left, pivots = now.join(pivot.select("number", "node"), ["number", "node"], "left_anti").select("number", "node"), pivots * 4
 
 
-def pivoted(now: DataFrame, pivots: int) -> DataFrame:
-    """now with k, the place of a pivot in its group or null: so many members of a group with the least nodes, found by
-    salted top lists, so no task sorts a whole group."""
-    salted = now.select("number", "node", F.pmod(F.xxhash64("node"), F.lit(64)).alias("salt"))
-    top = salted.withColumn("r", F.row_number().over(Window.partitionBy("number", "salt").orderBy("node"))).where(F.col("r") <= pivots)
-    best = top.withColumn("k", F.row_number().over(Window.partitionBy("number").orderBy("node"))).where(F.col("k") <= pivots).select("number", "node", "k")
-    return now.join(best, ["number", "node"], "left")
+def least(rows: DataFrame, n: int) -> DataFrame:
+    """The n rows of each number with the least nodes, by salted top lists, so no task sorts a whole group."""
+    salted = rows.withColumn("salt", F.pmod(F.xxhash64("node"), F.lit(64)))
+    top = salted.withColumn("r", F.row_number().over(Window.partitionBy("number", "salt").orderBy("node"))).where(F.col("r") <= n)
+    return top.withColumn("r", F.row_number().over(Window.partitionBy("number").orderBy("node"))).where(F.col("r") <= n).select("number", "node", "root")
 
 
 def keep_one(df: DataFrame, similarity: float = 0.8, shingle: int = 5, key: str = "doc_id", text: str = "text", listed: int = LISTED) -> DataFrame:
