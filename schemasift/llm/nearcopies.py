@@ -6,8 +6,13 @@ fingerprints can't show come from bands of MinHashes: two texts meet if all hash
 so many that a pair at the threshold itself fails to meet with a probability of 4e-12; whoever meets and isn't joined yet is
 compared by the complete sets, so what is below the threshold is never linked. Texts with equal sets are one node.
 
-Groups of equal bands are resolved in rounds: some members outside a group's largest component (pivots) are compared with all
-others that they are not joined with, and leave. All of it is aggregates and joins, so no task holds a group, and hot ones split in AQE's skew join.
+Each group of equal bands first compares its least member with all others. Members of groups that are still apart may share a
+passage and little else, and would give all their pairs; so they meet anew by prefixes: with shingles ordered by how many of
+these members hold them, rarest first, two sets at the threshold share one of the first n - ceil(0.8 n) + 1 of each. Any
+order would do, so counts are kept in a table of fixed size. A pair must also be able to reach the threshold by its sizes and by
+the places of the shared shingle. These groups are resolved in rounds: some members outside a group's largest component
+(pivots) are compared with all others that they are not joined with, and leave. All of it is aggregates and joins, so no task
+holds a group, and hot ones split in AQE's skew join.
 
 Cases: null texts count as empty; texts without words have equal (empty) sets; of repeated rows one stays; rows without an id
 always stay and never replace another; one id may stand on several texts; long texts are read whole; an empty table gives an
@@ -21,7 +26,7 @@ from fractions import Fraction
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from . import simhash
@@ -31,8 +36,10 @@ from .hashing import bit_votes, mix, shingles
 U = np.uint64
 #: MinHashes of a band, and bands: at similarity 0.8 a pair meets in none with (1 - 0.8 ** 4) ** 50.
 ROWS, BANDS = 4, 50
-#: Pivots of the second round (the first has one); each round after it has four times more.
+#: Pivots of the first round over prefixes; each round after it has four times more.
 LISTED = 4
+#: Numbers that shingles are counted under for their order.
+COUNTED = 1 << 18
 TURN = mix(np.arange(ROWS * BANDS, dtype=np.uint64), 31) | U(1)
 SHIFT = mix(np.arange(ROWS * BANDS, dtype=np.uint64), 32)
 
@@ -63,9 +70,9 @@ def lists(values: np.ndarray, n: np.ndarray) -> pa.ListArray:
 
 
 def marks(df: DataFrame, shingle: int, key: str, text: str) -> DataFrame:
-    """(id, place, node, fp, bands): the number of the shingle set (0 if empty), its SimHash and its bands (none if empty)."""
+    """(id, place, node, size, fp, bands): the number of the shingle set (0 if empty), its size, SimHash and bands (none if empty)."""
     kind = dict(df.dtypes)[key]
-    names = ["id", *PLACE, "node", "fp", "bands"]
+    names = ["id", *PLACE, "node", "size", "fp", "bands"]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -79,9 +86,9 @@ def marks(df: DataFrame, shingle: int, key: str, text: str) -> DataFrame:
                     band = bands(h, n[some]).ravel()
                 fp = np.packbits(2 * bit_votes(h, n) > n[:, None], axis=1, bitorder="little")
                 own = [batch.column(k).slice(lo, hi - lo) for k in range(3)]
-                yield pa.RecordBatch.from_arrays([*own, pa.array(node.view(np.int64)), pa.array([x.tobytes() for x in fp], pa.binary()), lists(band, held)], names)
+                yield pa.RecordBatch.from_arrays([*own, pa.array(node.view(np.int64)), pa.array(n, pa.int64()), pa.array([x.tobytes() for x in fp], pa.binary()), lists(band, held)], names)
 
-    return df.select(F.col(key), *PLACE, F.col(text)).mapInArrow(run, f"id {kind}, {PLACE[0]} string, {PLACE[1]} long, node long, fp binary, bands array<long>")
+    return df.select(F.col(key), *PLACE, F.col(text)).mapInArrow(run, f"id {kind}, {PLACE[0]} string, {PLACE[1]} long, node long, size long, fp binary, bands array<long>")
 
 
 def shingle_sets(df: DataFrame, shingle: int, text: str) -> DataFrame:
@@ -95,6 +102,43 @@ def shingle_sets(df: DataFrame, shingle: int, text: str) -> DataFrame:
     return df.select("node", F.col(text)).mapInArrow(run, "node long, s array<long>")
 
 
+def shingle_counts(df: DataFrame, shingle: int, text: str) -> np.ndarray:
+    """(COUNTED,): how many sets of the rows hold a shingle of each number; its size doesn't depend on the rows."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        total = np.zeros(COUNTED, np.int64)
+        for batch in batches:
+            for _, _, data, at in slices(batch.column(0)):
+                total += np.bincount((distinct_shingles(data, at, shingle)[0] % U(COUNTED)).astype(np.int64), minlength=COUNTED)
+        some = np.flatnonzero(total)
+        yield pa.RecordBatch.from_arrays([pa.array(some, pa.int64()), pa.array(total[some])], ["k", "n"])
+
+    got = df.select(text).mapInArrow(run, "k long, n long").groupBy("k").agg(F.sum("n").alias("n")).toArrow()
+    counts = np.zeros(COUNTED, np.int64)
+    counts[got.column(0).to_numpy()] = got.column(1).to_numpy()
+    return counts
+
+
+def prefixes(df: DataFrame, share: Fraction, shingle: int, text: str) -> DataFrame:
+    """(number, node, size, place): the shingles among the first size - ceil(share * size) + 1 of each row's set, and their places."""
+    counts = df.sparkSession.sparkContext.broadcast(shingle_counts(df, shingle, text))
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for lo, hi, data, at in slices(batch.column(1)):
+                h, n = distinct_shingles(data, at, shingle)
+                node = batch.column(0).slice(lo, hi - lo).to_numpy(zero_copy_only=False)
+                own = np.repeat(np.arange(len(n)), n)
+                h = h[np.lexsort((h, counts.value[(h % U(COUNTED)).astype(np.int64)], own))]
+                place = np.arange(len(h)) - np.repeat(np.cumsum(n) - n, n)
+                held = n + (-n * share.numerator // share.denominator) + 1
+                kept = place < held[own]
+                out = [mix(h[kept], 8).view(np.int64), node[own[kept]], n[own[kept]], place[kept]]
+                yield pa.RecordBatch.from_arrays([pa.array(x, pa.int64()) for x in out], ["number", "node", "size", "place"])
+
+    return df.select("node", F.col(text)).mapInArrow(run, "number long, node long, size long, place long")
+
+
 class Confirmed:
     """Compares pairs of nodes by their sets, which are made from the texts of one row of each node that is asked for."""
 
@@ -102,54 +146,95 @@ class Confirmed:
         self.docs, self.share, self.shingle, self.text = docs, share, shingle, text
         self.first = distinct.select("node", *(F.col(f"first.{c}").alias(f"f{c}") for c in PLACE))
 
+    def rows(self, wanted: DataFrame) -> DataFrame:
+        """One row of each node; wanted: a written table of places that ``first`` gives to nodes."""
+        return self.docs.join(small(wanted, 300), (F.col(PLACE[0]) == F.col(f"f{PLACE[0]}")) & (F.col(PLACE[1]) == F.col(f"f{PLACE[1]}")))
+
+    def places(self, nodes: DataFrame) -> DataFrame:
+        return durable(self.first.join(nodes, "node", "left_semi"), "near-wanted")
+
+    def enough(self, common: Column, one: Column, two: Column) -> Column:
+        """Whether sets of two sizes that share so many shingles have the similarity: same / (x + y - same) >= share."""
+        return common * (self.share.numerator + self.share.denominator) >= (one + two) * self.share.numerator
+
     def __call__(self, pairs: DataFrame) -> DataFrame:
-        """(a, b) of the pairs (a written table) that have the similarity: same / (x + y - same) >= share."""
-        wanted = durable(self.first.join(pairs.select(F.col("a").alias("node")).union(pairs.select("b")).distinct(), "node", "left_semi"), "near-wanted")
-        rows = self.docs.join(small(wanted, 300), (F.col(PLACE[0]) == F.col(f"f{PLACE[0]}")) & (F.col(PLACE[1]) == F.col(f"f{PLACE[1]}")))
-        sets = durable(shingle_sets(rows, self.shingle, self.text), "near-sets")
+        """(a, b) of the pairs (a written table) that have the similarity."""
+        wanted = self.places(pairs.select(F.col("a").alias("node")).union(pairs.select("b")).distinct())
+        sets = durable(shingle_sets(self.rows(wanted), self.shingle, self.text), "near-sets")
         one, two = sets.select(F.col("node").alias("a"), F.col("s").alias("x")), sets.select(F.col("node").alias("b"), F.col("s").alias("y"))
-        up, down = self.share.numerator, self.share.denominator
         met = pairs.select("a", "b").join(one, "a").join(two, "b")
-        found = durable(met.where(F.size(F.array_intersect("x", "y")) * (up + down) >= (F.size("x") + F.size("y")) * up).select("a", "b"), "near-links")
-        drop_durable(wanted), drop_durable(sets)
+        found = durable(met.where(self.enough(F.size(F.array_intersect("x", "y")), F.size("x"), F.size("y"))).select("a", "b"), "near-links")
+        drop_durable(wanted), drop_durable(sets), drop_durable(pairs)
         return found
 
 
+def joined(found: DataFrame, roots: DataFrame | None) -> DataFrame:
+    """roots, with the nodes of found joined; both are written tables, which are removed."""
+    edges = found if roots is None else found.union(roots.select(F.col("root").alias("a"), F.col("node").alias("b")))
+    now = durable(components(edges, "near-components"), "near-roots")
+    drop_durable(found)
+    if roots is not None:
+        drop_durable(roots)
+    return now
+
+
+def apart(left: DataFrame, roots: DataFrame) -> DataFrame:
+    """The members of groups (a written table, which is removed) that more than one component is left of, with their roots."""
+    named = left.join(roots.withColumnRenamed("node", "m"), F.col("node") == F.col("m"), "left").select(left["*"], F.coalesce("root", "node").alias("root"))
+    several = named.groupBy("number").agg(F.min("root").alias("lo"), F.max("root").alias("hi")).where("lo < hi").select("number")
+    now = durable(named.join(several, "number"), "near-apart")
+    drop_durable(left)
+    return now
+
+
 def roots_of(distinct: DataFrame, confirmed: Confirmed, listed: int = LISTED) -> DataFrame:
-    """(node, root) of every node that has a link of the similarity, as all such links join them. distinct: (node, fp, bands, first)."""
+    """(node, root) of every node that has a link of the similarity, as all such links join them.
+    distinct: (node, size, fp, bands, first)."""
     by_bits = simhash.links(distinct.select("node", "fp", F.lit(b"").alias("weak")), simhash.FIVE)
-    entries = distinct.select("node", F.explode("bands").alias("number"))
-    # groups of two nodes or more, as an aggregate that is combined in the tasks first; the least node is the first pivot
-    shared = entries.groupBy("number").agg(F.min("node").alias("p"), F.max("node").alias("top")).where("p < top").select("number", "p")
-    left = durable(entries.join(shared, "number").where("node <> p"), "near-left")
-    pairs, pivots = left.select(F.col("p").alias("a"), F.col("node").alias("b")).union(by_bits.select(F.least("a", "b"), F.greatest("a", "b"))), listed
-    left, roots = left.select("number", "node"), None
+    entries = distinct.select("node", "size", F.explode("bands").alias("number"))
+    # groups of two nodes or more, as an aggregate that is combined in the tasks first; the least node meets all others
+    shared = entries.groupBy("number").agg(F.min(F.struct("node", "size")).alias("p"), F.max("node").alias("top")).where("p.node < top").select("number", "p")
+    left = durable(entries.join(shared, "number").where("node <> p.node"), "near-left")
+    sized = confirmed.enough(F.least("size", "p.size"), F.col("size"), F.col("p.size"))
+    pairs = left.where(sized).select(F.col("p.node").alias("a"), F.col("node").alias("b")).union(by_bits.select(F.least("a", "b"), F.greatest("a", "b")))
+    roots = joined(confirmed(durable(pairs.distinct(), "near-pairs")), None)
+    left = apart(left.select("number", "node"), roots)
+    wanted = confirmed.places(left.select("node").distinct())
+    drop_durable(left)
+    if wanted.isEmpty():
+        return roots
+    # from here on groups are of a shingle in the prefixes of the members that are still apart in some band
+    every = durable(prefixes(confirmed.rows(wanted), confirmed.share, confirmed.shingle, confirmed.text), "near-prefixes")
+    drop_durable(wanted)
+    several = every.groupBy("number").agg(F.min("node").alias("lo"), F.max("node").alias("hi")).where("lo < hi").select("number")
+    left = durable(every.join(several, "number"), "near-left")
+    drop_durable(every)
     while True:
-        found = confirmed(durable(pairs.distinct(), "near-pairs"))
-        if roots is None:
-            roots = components(found, "near-roots")
-        elif not found.isEmpty():
-            roots = components(found.union(roots.select(F.col("root").alias("a"), F.col("node").alias("b"))), "near-roots")
-        named = left.join(roots.withColumnRenamed("node", "m"), F.col("node") == F.col("m"), "left").select("number", "node", F.coalesce("root", "node").alias("root"))
-        now = durable(named, "near-left")
-        apart = now.groupBy("number").agg(F.min("root").alias("lo"), F.max("root").alias("hi")).where("lo < hi").select("number")
-        now = durable(now.join(apart, "number"), "near-left")
+        now = apart(left, roots)
         if now.isEmpty():
+            drop_durable(now)
             return roots
         # a group is done when one component is left of it: only members outside its largest one need be pivots
         sizes = now.groupBy("number", "root").agg(F.count(F.lit(1)).alias("n"))
         largest = sizes.groupBy("number").agg(F.max_by("root", F.struct("n", "root")).alias("big"))
-        pivot = durable(least(now.join(largest, "number").where("root <> big").select("number", "node", "root"), pivots), "near-pivots")
-        met = now.join(pivot.select("number", F.col("node").alias("p"), F.col("root").alias("q")), "number").where("root <> q")
-        pairs = met.select(F.least("node", "p").alias("a"), F.greatest("node", "p").alias("b"))
-        left, pivots = now.join(pivot.select("number", "node"), ["number", "node"], "left_anti").select("number", "node"), pivots * 4
+        pivot = durable(least(now.join(largest, "number").where("root <> big"), listed), "near-pivots")
+        other = pivot.select("number", F.struct("node", "size", "place", "root").alias("p"))
+        reach = confirmed.enough(F.least(F.col("size") - F.col("place"), F.col("p.size") - F.col("p.place")), F.col("size"), F.col("p.size"))
+        met = now.join(other, (now["number"] == other["number"]) & (F.col("root") != F.col("p.root")) & reach)
+        pairs = durable(met.select(F.least("node", "p.node").alias("a"), F.greatest("node", "p.node").alias("b")).distinct(), "near-pairs")
+        left = durable(now.join(pivot.select("number", "node"), ["number", "node"], "left_anti").drop("root"), "near-left")
+        drop_durable(now), drop_durable(pivot)
+        found = confirmed(pairs)
+        if not found.isEmpty():
+            roots = joined(found, roots)
+        listed *= 4
 
 
 def least(rows: DataFrame, n: int) -> DataFrame:
     """The n rows of each number with the least nodes, by salted top lists, so no task sorts a whole group."""
     salted = rows.withColumn("salt", F.pmod(F.xxhash64("node"), F.lit(64)))
     top = salted.withColumn("r", F.row_number().over(Window.partitionBy("number", "salt").orderBy("node"))).where(F.col("r") <= n)
-    return top.withColumn("r", F.row_number().over(Window.partitionBy("number").orderBy("node"))).where(F.col("r") <= n).select("number", "node", "root")
+    return top.withColumn("r", F.row_number().over(Window.partitionBy("number").orderBy("node"))).where(F.col("r") <= n).drop("salt", "r", "big")
 
 
 def keep_one(df: DataFrame, similarity: float = 0.8, shingle: int = 5, key: str = "doc_id", text: str = "text", listed: int = LISTED) -> DataFrame:
@@ -159,7 +244,7 @@ def keep_one(df: DataFrame, similarity: float = 0.8, shingle: int = 5, key: str
     every = durable(marks(docs, shingle, key, text), "near-every")
     place = F.struct(*PLACE)
     named = F.struct("id", *PLACE)
-    distinct = durable(every.groupBy("node").agg(F.min(F.when(F.col("id").isNotNull(), named)).alias("least"), F.min(place).alias("first"), F.first("fp").alias("fp"), F.first("bands").alias("bands")), "near-distinct")
+    distinct = durable(every.groupBy("node").agg(F.min(F.when(F.col("id").isNotNull(), named)).alias("least"), F.min(place).alias("first"), F.first("size").alias("size"), F.first("fp").alias("fp"), F.first("bands").alias("bands")), "near-distinct")
     confirmed = Confirmed(docs, distinct, Fraction(str(similarity)), shingle, text)
     roots = roots_of(distinct, confirmed, listed).withColumnRenamed("node", "m")
     own = distinct.select("node", "least").join(roots, F.col("node") == F.col("m"), "left").select("node", "least", F.coalesce("root", "node").alias("root"))
