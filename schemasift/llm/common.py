@@ -19,6 +19,8 @@ from pyspark.sql import functions as F
 
 #: Python's numeric code works on slices of at most about this many text bytes (one longer text makes a slice of its own).
 SLICE_BYTES = 1 << 20
+#: So few links are passed on in one partition, without shuffles: their tasks would be nothing but starts.
+FEW_LINKS = 10_000
 
 
 @cache
@@ -121,22 +123,23 @@ def components(edges: DataFrame, name: str = "components") -> DataFrame:
 
     Large-star and small-star rounds over the link table, each written to the shared folder. Both are
     a minimum per node and a join, so no task holds the neighbours of a node and hot nodes split in AQE's
-    skew join.
+    skew join. Rounds over at most ``FEW_LINKS`` links stay in one partition.
     """
     links = durable(edges.select(F.greatest("a", "b").alias("u"), F.least("a", "b").alias("v")).where("u <> v").distinct(), name)
-    before, now = None, 0
+    before, now = None, (links.count(), 0)
     while now != before:
         before = now
+        parted = (lambda df: df.coalesce(1)) if now[0] <= FEW_LINKS else (lambda df: df)
         # large star: every larger neighbour of u goes to the least of u and its neighbours
-        both = links.union(links.select(F.col("v").alias("u"), F.col("u").alias("v")))
+        both = parted(links.union(links.select(F.col("v").alias("u"), F.col("u").alias("v"))))
         least = both.groupBy("u").agg(F.least(F.min("v"), F.col("u")).alias("m"))
         large = both.join(least, "u").where("v > u").select(F.col("v").alias("u"), F.col("m").alias("v")).where("u <> v")
         # small star: u and its smaller neighbours go to the least of them
-        large = durable(large.distinct(), name)
+        large = parted(durable(large.distinct(), name))
         low = large.groupBy("u").agg(F.min("v").alias("m"))
         moved = large.join(low, "u").where("v <> m").select(F.col("v").alias("u"), F.col("m").alias("v"))
-        small = durable(moved.union(low.select("u", F.col("m").alias("v"))).distinct(), name)
+        small = durable(parted(moved.union(low.select("u", F.col("m").alias("v")))).distinct(), name)
         drop_durable(links), drop_durable(large)
         links = small
-        now = links.agg(F.count(F.lit(1)), F.sum(F.xxhash64("u", "v").cast("decimal(38,0)"))).first()
+        now = tuple(links.agg(F.count(F.lit(1)), F.sum(F.xxhash64("u", "v").cast("decimal(38,0)"))).first())
     return links.select(F.col("u").alias("node"), F.col("v").alias("root")).union(links.select(F.col("v").alias("node"), F.col("v").alias("root")).distinct())

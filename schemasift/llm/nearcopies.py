@@ -36,8 +36,8 @@ from .hashing import bit_votes, mix, shingles
 U = np.uint64
 #: MinHashes of a band, and bands: at similarity 0.8 a pair meets in none with (1 - 0.8 ** 4) ** 50.
 ROWS, BANDS = 4, 50
-#: Pivots of the first round over prefixes; each round after it has four times more.
-LISTED = 4
+#: Pivots of the first round over prefixes, which ends all groups but large ones; each round after it has eight times more.
+LISTED = 32
 #: Numbers that shingles are counted under for their order.
 COUNTED = 1 << 18
 TURN = mix(np.arange(ROWS * BANDS, dtype=np.uint64), 31) | U(1)
@@ -168,13 +168,16 @@ class Confirmed:
         return found
 
 
-def joined(found: DataFrame, roots: DataFrame | None) -> DataFrame:
-    """roots, with the nodes of found joined; both are written tables, which are removed."""
-    edges = found if roots is None else found.union(roots.select(F.col("root").alias("a"), F.col("node").alias("b")))
-    now = durable(components(edges, "near-components"), "near-roots")
-    drop_durable(found)
-    if roots is not None:
-        drop_durable(roots)
+def joined(found: DataFrame, roots: DataFrame) -> DataFrame:
+    """roots, with the components that links of found join made one; both are written tables, which are removed."""
+    of = lambda side: roots.select(F.col("node").alias(side), F.col("root").alias(f"r{side}"))
+    ends = found.join(of("a"), "a", "left").join(of("b"), "b", "left").select(F.coalesce("ra", "a").alias("a"), F.coalesce("rb", "b").alias("b"))
+    ends = durable(ends.where("a <> b").distinct(), "near-ends")
+    merged = durable(components(ends, "near-components"), "near-merged")
+    to = merged.select(F.col("node").alias("from"), F.col("root").alias("to"))
+    moved = roots.join(to, F.col("root") == F.col("from"), "left").select("node", F.coalesce("to", "root").alias("root"))
+    now = durable(moved.union(merged.join(roots, "node", "left_anti").select("node", "root")), "near-roots")
+    drop_durable(found), drop_durable(roots), drop_durable(ends), drop_durable(merged)
     return now
 
 
@@ -197,7 +200,9 @@ def roots_of(distinct: DataFrame, confirmed: Confirmed, listed: int = LISTED) ->
     left = durable(entries.join(shared, "number").where("node <> p.node"), "near-left")
     sized = confirmed.enough(F.least("size", "p.size"), F.col("size"), F.col("p.size"))
     pairs = left.where(sized).select(F.col("p.node").alias("a"), F.col("node").alias("b")).union(by_bits.select(F.least("a", "b"), F.greatest("a", "b")))
-    roots = joined(confirmed(durable(pairs.distinct(), "near-pairs")), None)
+    found = confirmed(durable(pairs.distinct(), "near-pairs"))
+    roots = durable(components(found, "near-components"), "near-roots")
+    drop_durable(found)
     left = apart(left.select("number", "node"), roots)
     wanted = confirmed.places(left.select("node").distinct())
     drop_durable(left)
@@ -227,7 +232,7 @@ def roots_of(distinct: DataFrame, confirmed: Confirmed, listed: int = LISTED) ->
         found = confirmed(pairs)
         if not found.isEmpty():
             roots = joined(found, roots)
-        listed *= 4
+        listed *= 8
 
 
 def least(rows: DataFrame, n: int) -> DataFrame:
