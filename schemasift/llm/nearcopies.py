@@ -9,8 +9,9 @@ compared by the complete sets, so what is below the threshold is never linked. T
 Each group of equal bands first compares its least member with all others. Members of groups that are still apart may share a
 passage and little else, and would give all their pairs; so they meet anew by prefixes: with shingles ordered by how many of
 these members hold them, rarest first, two sets at the threshold share one of the first n - ceil(0.8 n) + 1 of each. Any
-order would do, so counts are kept in a table of fixed size. A pair must also be able to reach the threshold by its sizes and by
-the places of the shared shingle. These groups are resolved in rounds: some members outside a group's largest component
+order would do, so counts are kept in a table of fixed size. A pair must also be able to reach the threshold by its sizes, by
+the places of the shared shingle, and by its bitmaps: each shingle flips one bit, so as many bits as two bitmaps differ in are
+shingles that only one of the sets has. These groups are resolved in rounds: some members outside a group's largest component
 (pivots) are compared with all others that they are not joined with, and leave. All of it is aggregates and joins, so no task
 holds a group, and hot ones split in AQE's skew join.
 
@@ -40,6 +41,8 @@ ROWS, BANDS = 4, 50
 LISTED = 32
 #: Numbers that shingles are counted under for their order.
 COUNTED = 1 << 18
+#: The 64-bit words of a set's bitmap.
+WORDS = ("w0", "w1", "w2", "w3")
 TURN = mix(np.arange(ROWS * BANDS, dtype=np.uint64), 31) | U(1)
 SHIFT = mix(np.arange(ROWS * BANDS, dtype=np.uint64), 32)
 
@@ -102,6 +105,16 @@ def shingle_sets(df: DataFrame, shingle: int, text: str) -> DataFrame:
     return df.select("node", F.col(text)).mapInArrow(run, "node long, s array<long>")
 
 
+def bitmaps(h: np.ndarray, n: np.ndarray) -> np.ndarray:
+    """(WORDS, texts): a bitmap of each text, in which every one of its shingles has flipped one bit."""
+    out, some = np.zeros((len(WORDS), len(n)), U), np.flatnonzero(n)
+    if len(some):
+        bit = mix(h, 9) % U(64 * len(WORDS))
+        for k in range(len(WORDS)):
+            out[k, some] = np.bitwise_xor.reduceat(np.where(bit // U(64) == U(k), U(1) << bit % U(64), U(0)), (np.cumsum(n) - n)[some])
+    return out
+
+
 def shingle_counts(df: DataFrame, shingle: int, text: str) -> np.ndarray:
     """(COUNTED,): how many sets of the rows hold a shingle of each number; its size doesn't depend on the rows."""
 
@@ -120,7 +133,9 @@ def shingle_counts(df: DataFrame, shingle: int, text: str) -> np.ndarray:
 
 
 def prefixes(df: DataFrame, share: Fraction, shingle: int, text: str) -> DataFrame:
-    """(number, node, size, place): the shingles among the first size - ceil(share * size) + 1 of each row's set, and their places."""
+    """(number, node, size, place, the words of the bitmap): the shingles among the first size - ceil(share * size) + 1 of each
+    row's set, and their places."""
+    names = ["number", "node", "size", "place", *WORDS]
     counts = df.sparkSession.sparkContext.broadcast(shingle_counts(df, shingle, text))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -133,10 +148,10 @@ def prefixes(df: DataFrame, share: Fraction, shingle: int, text: str) -> DataFra
                 place = np.arange(len(h)) - np.repeat(np.cumsum(n) - n, n)
                 held = n + (-n * share.numerator // share.denominator) + 1
                 kept = place < held[own]
-                out = [mix(h[kept], 8).view(np.int64), node[own[kept]], n[own[kept]], place[kept]]
-                yield pa.RecordBatch.from_arrays([pa.array(x, pa.int64()) for x in out], ["number", "node", "size", "place"])
+                out = [mix(h[kept], 8).view(np.int64), node[own[kept]], n[own[kept]], place[kept], *bitmaps(h, n).view(np.int64)[:, own[kept]]]
+                yield pa.RecordBatch.from_arrays([pa.array(x, pa.int64()) for x in out], names)
 
-    return df.select("node", F.col(text)).mapInArrow(run, "number long, node long, size long, place long")
+    return df.select("node", F.col(text)).mapInArrow(run, ", ".join(f"{name} long" for name in names))
 
 
 class Confirmed:
@@ -157,6 +172,11 @@ class Confirmed:
         """Whether sets of two sizes that share so many shingles have the similarity: same / (x + y - same) >= share."""
         return common * (self.share.numerator + self.share.denominator) >= (one + two) * self.share.numerator
 
+    def differing(self, one: str, two: str, sizes: Column) -> Column:
+        """Whether bitmaps differ in so few bits that sets of that many shingles together can have the similarity."""
+        bits = sum((F.bit_count(F.col(f"{one}{w}").bitwiseXOR(F.col(f"{two}{w}"))) for w in WORDS), F.lit(0))
+        return bits * (self.share.numerator + self.share.denominator) <= sizes * (self.share.denominator - self.share.numerator)
+
     def __call__(self, pairs: DataFrame) -> DataFrame:
         """(a, b) of the pairs (a written table) that have the similarity."""
         wanted = self.places(pairs.select(F.col("a").alias("node")).union(pairs.select("b")).distinct())
@@ -223,9 +243,10 @@ def roots_of(distinct: DataFrame, confirmed: Confirmed, listed: int = LISTED) ->
         sizes = now.groupBy("number", "root").agg(F.count(F.lit(1)).alias("n"))
         largest = sizes.groupBy("number").agg(F.max_by("root", F.struct("n", "root")).alias("big"))
         pivot = durable(least(now.join(largest, "number").where("root <> big"), listed), "near-pivots")
-        other = pivot.select("number", F.struct("node", "size", "place", "root").alias("p"))
+        other = pivot.select("number", F.struct("node", "size", "place", "root", *WORDS).alias("p"))
         reach = confirmed.enough(F.least(F.col("size") - F.col("place"), F.col("p.size") - F.col("p.place")), F.col("size"), F.col("p.size"))
-        met = now.join(other, (now["number"] == other["number"]) & (F.col("root") != F.col("p.root")) & reach)
+        near = confirmed.differing("", "p.", F.col("size") + F.col("p.size"))
+        met = now.join(other, (now["number"] == other["number"]) & (F.col("root") != F.col("p.root")) & reach & near)
         pairs = durable(met.select(F.least("node", "p.node").alias("a"), F.greatest("node", "p.node").alias("b")).distinct(), "near-pairs")
         left = durable(now.join(pivot.select("number", "node"), ["number", "node"], "left_anti").drop("root"), "near-left")
         drop_durable(now), drop_durable(pivot)

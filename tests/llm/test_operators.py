@@ -166,6 +166,17 @@ def test_near_copies_are_exact(spark, listed):
     assert sorted(r.doc_id for r in nearcopies.keep_one(df, listed=listed).collect()) == sorted(set(root))
 
 
+def test_bitmaps_differ_in_no_more_bits_than_the_sets():
+    rng = np.random.default_rng(4)
+    for size in (0, 1, 40, 3000):
+        same = rng.integers(0, 2**63, size, dtype=np.uint64)
+        for x, y in itertools.product((0, 3, 200), repeat=2):
+            one, two = (np.concatenate((same, rng.integers(0, 2**63, k, dtype=np.uint64))) for k in (x, y))
+            got = nearcopies.bitmaps(np.concatenate((one, two)), np.array([len(one), len(two)]))
+            bits = int(np.bitwise_count(got[:, 0] ^ got[:, 1]).sum())
+            assert bits <= x + y and (bits - x - y) % 2 == 0
+
+
 def test_masks_miss_nothing():
     for n in range(decontamination.SHORTEST, decontamination.WINDOW + 1):
         for bad in itertools.combinations(range(n), n - decontamination.needed(n)):
