@@ -26,6 +26,14 @@ def events(spark: SparkSession, sf: str) -> DataFrame:
 
 
 def drained(df: DataFrame, mode: str) -> DataFrame:
+    """The sink's rows. Appended rows, as many as the stream's, are files in the shared folder; the other modes keep a row per
+    group, in the driver's memory."""
+    if mode == "append":
+        from ..sources.sinks import scratch
+
+        at = scratch(df.sparkSession, "drained")
+        df.writeStream.format("parquet").option("path", f"{at}/rows").option("checkpointLocation", f"{at}/checkpoint").outputMode(mode).trigger(availableNow=True).start().awaitTermination()
+        return df.sparkSession.read.schema(df.schema).parquet(f"{at}/rows")
     name = f"s{uuid.uuid4().hex}"
     q = df.writeStream.format("memory").queryName(name).outputMode(mode).trigger(availableNow=True).start()
     q.awaitTermination()
@@ -42,8 +50,10 @@ def sessions(stream: DataFrame, gap: str = "2 hours", late: str = "10 minutes")
 
 
 def without_repeats(stream: DataFrame, late: str = "10 minutes") -> DataFrame:
-    """The first of equal requests within the watermark."""
-    return stream.withColumn("k", digest(F.col("user_id").cast("string"), F.col("event_type"), F.col("ts").cast("string"))).withWatermark("at", late).dropDuplicatesWithinWatermark(["k"]).select("event_id", "k")
+    """The first of equal requests within the watermark. They are told apart by what they ask, not by its digest k: among millions,
+    different requests share digests."""
+    same = ["user_id", "event_type", "ts"]
+    return stream.withWatermark("at", late).dropDuplicatesWithinWatermark(same).select("event_id", digest(*(F.col(c).cast("string") for c in same)).alias("k"))
 
 
 def budgets(stream: DataFrame, budget: int = 1000) -> DataFrame:

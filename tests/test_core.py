@@ -197,6 +197,31 @@ def test_streamed_index_counts_each_value_once(spark, tmp_path):
     assert spark.read.parquet(f"{at}/values").select("batch").distinct().count() == 3
 
 
+@pytest.mark.parametrize("name", ["stream_sessions", "stream_dedup"])
+def test_appended_rows_stay_off_the_driver(spark, sf, name):
+    df = QUERIES[name](spark, sf)
+    assert df.inputFiles()  # rows of the memory sink, held by the driver, come from no file
+    rows = df.count()
+    assert rows == 1000 if name == "stream_dedup" else rows == df.select("start", "user_id").distinct().count() > 0
+
+
+def test_streams_of_no_events(spark, sf, tmp_path):
+    spark.read.parquet(f"{sf}/events.parquet").limit(0).write.parquet(f"{tmp_path}/events.parquet")
+    for name in ("stream_sessions", "stream_dedup"):
+        assert QUERIES[name](spark, str(tmp_path)).count() == 0
+
+
+def test_requests_whose_digests_collide_both_stay(spark, sf, tmp_path):
+    from schemasift.functions.text import digest
+
+    many = spark.range(300_000).selectExpr("id AS event_id", "TIMESTAMP_NTZ '2024-01-01 00:00:00' AS ts", "id AS user_id", "'view' AS event_type", "1.0D AS value", "'{}' AS props")
+    k = digest(*(many[c].cast("string") for c in ("user_id", "event_type", "ts")))
+    pair = many.groupBy(k.alias("k")).agg({"user_id": "collect_list"}).toDF("k", "users").where("size(users) > 1").first()
+    twice = many.where(many["user_id"].isin(pair["users"]))
+    twice.union(twice).coalesce(1).write.parquet(f"{tmp_path}/events.parquet")
+    assert QUERIES["stream_dedup"](spark, str(tmp_path)).count() == len(pair["users"])
+
+
 def test_lsh_recall(spark):
     """Nine tenths of the exact five nearest."""
     for sf in ("sf0.001", "sf0.01"):
