@@ -222,6 +222,14 @@ def test_requests_whose_digests_collide_both_stay(spark, sf, tmp_path):
     assert QUERIES["stream_dedup"](spark, str(tmp_path)).count() == len(pair["users"])
 
 
+@pytest.mark.parametrize("name", ["base_biencoder", "derive_subschema", "edge_softmax", "enrich_cost"])
+def test_rows_come_from_given_tables(spark, sf, name):
+    from test_oracles import test_same_rows
+
+    assert QUERIES[name](spark, sf).inputFiles()
+    test_same_rows(spark, sf, name)
+
+
 def test_lsh_recall(spark):
     """Nine tenths of the exact five nearest."""
     for sf in ("sf0.001", "sf0.01"):
