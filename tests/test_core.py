@@ -30,10 +30,41 @@ def test_every_oracle_has_a_query():
 
 
 def test_campus(spark, sf):
-    row = QUERIES["campus_example"](spark, sf).first()
-    assert row.tables == ["courses", "departments"]
-    assert row.columns == ["courses.cid", "courses.dept_id", "departments.did", "departments.name"]
-    assert row.fks == ["courses.dept_id -> departments.did"]
+    """Two tables, four columns and one key for each nation's question."""
+    from test_oracles import test_same_rows
+
+    rows = QUERIES["campus_example"](spark, sf).collect()
+    assert {r.qid for r in rows} == {f"NATION_{i}" for i in range(25)}
+    for row in rows:
+        assert row.tables == ["nation", "supplier"]
+        assert row.columns == ["nation.n_name", "nation.n_nationkey", "supplier.s_nationkey", "supplier.s_suppkey"]
+        assert row.fks == ["supplier.s_nationkey -> nation.n_nationkey"]
+    assert QUERIES["campus_example"](spark, sf).inputFiles()
+    test_same_rows(spark, sf, "campus_example")
+
+
+def changed(spark, sf, to, **by_table):
+    """The tables with some columns replaced by expressions, as a folder of tables."""
+    for t in fx.TABLES:
+        df = spark.read.parquet(f"{sf}/{t}.parquet")
+        df.selectExpr(*(f"{by_table.get(t, {}).get(c, c)} AS {c}" for c in df.columns)).coalesce(1).write.parquet(f"{to}/{t}.parquet")
+    return str(to)
+
+
+def test_campus_finds_names_in_the_rows(spark, sf, tmp_path):
+    """Names that stand in other columns too, a null one and one of two nations."""
+    from test_oracles import test_same_rows
+
+    odd = changed(
+        spark, sf, tmp_path,
+        part={"p_name": "CASE WHEN p_partkey < 5 THEN 'NATION_1' ELSE p_name END"},
+        lineitem={"l_returnflag": "CASE WHEN l_linenumber = 1 THEN 'NATION_2' ELSE l_returnflag END"},
+        supplier={"s_name": "CASE s_suppkey WHEN 1 THEN 'NATION_3' WHEN 2 THEN 'NATION_1' ELSE s_name END"},
+        nation={"n_name": "CASE n_nationkey WHEN 7 THEN 'NATION_8' WHEN 9 THEN NULL ELSE n_name END"},
+    )
+    rows = {r.qid: r for r in QUERIES["campus_example"](spark, odd).collect()}
+    assert len(rows) == 23 and rows["NATION_1"].tables == ["lineitem", "nation", "part", "supplier"] and "supplier.s_name" in rows["NATION_3"].columns
+    test_same_rows(spark, odd, "campus_example")
 
 
 def test_graph_counts(spark, sf):
