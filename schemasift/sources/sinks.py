@@ -15,7 +15,7 @@ from pyspark.sql.datasource import DataSource, DataSourceReader
 from ..functions.text import word_pieces
 from ..registry import query
 from . import fixtures as fx
-from .catalog import from_parquet, questions
+from .catalog import questions, scanned
 
 
 def scratch(spark: SparkSession, name: str) -> str:
@@ -77,7 +77,7 @@ def _source(spark: SparkSession, sf: str) -> DataFrame:
 
 @query("catalog_scan", "SELECT table_name, column_name, ordinal, dtype FROM (VALUES " + ", ".join(f"('{t}', '{x.split(':')[0]}', {i + 1}, '{x.split(':')[1]}')" for t, cs in fx.COLUMNS.items() for i, x in enumerate(cs.split())) + ") v(table_name, column_name, ordinal, dtype)")
 def _scan(spark: SparkSession, sf: str) -> DataFrame:
-    return from_parquet(spark, sf).columns.select("table_name", "column_name", "ordinal", "dtype")
+    return scanned(spark, sf)
 
 
 @query("scan_footer_stats", " UNION ALL ".join(f"SELECT '{t}' AS table_name, count(*) AS n_rows FROM {t}" for t in ("region", "nation", "part", "labels")))

@@ -67,6 +67,28 @@ def test_campus_finds_names_in_the_rows(spark, sf, tmp_path):
     test_same_rows(spark, odd, "campus_example")
 
 
+def test_catalog_scan_reads_the_tables(spark, sf, tmp_path):
+    """All columns of all tables are decoded: nested leaves, odd names, no rows, and a damaged page that no footer shows."""
+    import pyarrow.parquet as pq
+    from test_oracles import test_same_rows
+
+    assert len(QUERIES["catalog_scan"](spark, sf).inputFiles()) == len(fx.TABLES)
+    test_same_rows(spark, sf, "catalog_scan")
+    odd = changed(spark, sf, tmp_path, region={"r_name": "struct(r_name AS a, CAST(NULL AS INT) AS `b.c`)"})
+    spark.read.parquet(f"{sf}/labels.parquet").limit(0).write.mode("overwrite").parquet(f"{odd}/labels.parquet")
+    want = catalog.from_parquet(spark, odd).columns.select("table_name", "column_name", "ordinal", "dtype").collect()
+    assert len(want) == 64 and sorted(QUERIES["catalog_scan"](spark, odd).collect()) == sorted(want)
+    file = next((tmp_path / "orders.parquet").glob("*.parquet"))
+    chunk, data = pq.read_metadata(file).row_group(0).column(5), bytearray(file.read_bytes())
+    start = chunk.dictionary_page_offset or chunk.data_page_offset
+    data[start : start + chunk.total_compressed_size] = b"\xff" * chunk.total_compressed_size
+    (tmp_path / f"orders.parquet/.{file.name}.crc").unlink()
+    file.write_bytes(data)
+    assert catalog.from_parquet(spark, odd).columns.count() == 64
+    with pytest.raises(Exception, match="orders.parquet"):
+        QUERIES["catalog_scan"](spark, odd).collect()
+
+
 def test_graph_counts(spark, sf):
     c, e, *_ = graph(spark, sf)
     by = {r: sum(1 for x in e if x[2] == r) for r in range(3)}
