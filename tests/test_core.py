@@ -89,6 +89,25 @@ def test_catalog_scan_reads_the_tables(spark, sf, tmp_path):
         QUERIES["catalog_scan"](spark, odd).collect()
 
 
+@pytest.mark.parametrize("rows, keys", [("true", []), ("l_orderkey % 5 = 0 GROUP BY 1, 4", ["l_orderkey", "l_linenumber"]), ("true GROUP BY 1", ["l_orderkey"]), ("false", []), ("true GROUP BY 1, 4 UNION ALL SELECT * FROM (SELECT * FROM lines LIMIT 1)", [])])
+def test_enriched_keys_come_from_the_rows(spark, sf, tmp_path, rows, keys):
+    """A key that no list declares is found in the rows: none, a pair, one column; none without rows or where a null is part of it."""
+    import shutil
+
+    from test_oracles import test_same_rows
+
+    lines = spark.read.parquet(f"{sf}/lineitem.parquet")
+    picked = ", ".join(f"any_value({c}) AS {c}" if "GROUP BY" in rows and c != "l_orderkey" and not (c == "l_linenumber" and "4" in rows) else c for c in lines.columns)
+    lines.selectExpr(*("CAST(NULL AS BIGINT) AS l_orderkey" if c == "l_orderkey" else c for c in lines.columns)).createOrReplaceTempView("lines")
+    shutil.copytree(sf, tmp_path, dirs_exist_ok=True)
+    (tmp_path / "lineitem.parquet").chmod(0o644)
+    (tmp_path / "lineitem.parquet").unlink()
+    spark.sql(f"SELECT {picked} FROM {{t}} WHERE {rows}", t=lines).coalesce(1).write.parquet(f"{tmp_path}/lineitem.parquet")
+    got = QUERIES["enrich_catalog"](spark, str(tmp_path)).where("table_name = 'lineitem' AND is_pk").orderBy("col_id")
+    assert [r.column_name for r in got.collect()] == keys
+    test_same_rows(spark, str(tmp_path), "enrich_catalog")
+
+
 def test_graph_counts(spark, sf):
     c, e, *_ = graph(spark, sf)
     by = {r: sum(1 for x in e if x[2] == r) for r in range(3)}
